@@ -39,4 +39,18 @@ SQL = {
                (least(floor(shift + rate * k) - floor(shift + rate * (k - 1)), ceil(rate)) * size)::bigint as taken
         from r
     """,
+    # The given pages state no canonical link or refresh, so the method's own verdict is `allow` throughout.
+    "op7_redirect_blocklist": r"""
+        with p as (select page_id,
+                translate(regexp_extract(coalesce(url, ''), '^(?s:.*?)://([^/?#]*)([^?#]*)', 1),
+                          'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') as host,
+                regexp_extract(coalesce(url, ''), '^(?s:.*?)://([^/?#]*)([^?#]*)', 2) as path from pages),
+        r as (select * from (values ('block', 'com', '/en/'), ('allow', 'example.com', '/en/7'), ('allow', 'net', '/de/'),
+                                    ('block', 'example.net', '/de/8'), ('block', 'org', '/es/')) t(verdict, h, q)),
+        m as (select page_id, h || q as rule, verdict,
+                     row_number() over (partition by page_id order by length(h || q) desc) as k
+              from p join r on (host = h or ends_with(host, '.' || h)) and starts_with(path, q))
+        select p.page_id, host, path, rule, coalesce(verdict, 'allow') as verdict
+        from p left join m on m.page_id = p.page_id and k = 1
+    """,
 }
