@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, exact_dedup, lang_id, license_scan, secret_scan, source_mix, url_filter
+from . import bpe, exact_dedup, lang_id, license_scan, near_dedup, passage_chains, secret_scan, source_mix, spot_signatures, url_filter
 from .common import table
 
 
@@ -25,6 +25,10 @@ def op2_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_dedup(table(spark, sf_dir, "documents"))
 
 
+def op3_spot_signatures(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spot_signatures.fingerprint_documents(table(spark, sf_dir, "documents"))
+
+
 def op4_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return source_mix.mix_sources(table(spark, sf_dir, "documents")).select(
         "doc_id", "size", "source_size", F.round("target", 6).alias("target"), "taken"
@@ -39,10 +43,18 @@ def op5_language_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op6_chosen_path(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dedup.near_dedup(table(spark, sf_dir, "documents"), k=4)
+
+
 def op7_redirect_blocklist(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.filter_urls(table(spark, sf_dir, "pages")).select("page_id", "host", "path", "rule", "verdict")
 
 
+def op8_collinear_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return passage_chains.passages_by_document(table(spark, sf_dir, "documents"))
+
+
 def op9_confirmed_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secret_scan.scan_secrets(table(spark, sf_dir, "documents"))
 
