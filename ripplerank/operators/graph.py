@@ -60,27 +60,10 @@ class Graph:
         ranked within hash-free value blocks whose offsets are added, so that no task sorts
         all edges of one vertex.
         """
-        hubs = self.vertices.where(F.col("out_deg") > HUB_DEGREE)
-        by_src = Window.partitionBy("src").orderBy("dst")
-        if hubs.isEmpty():
-            ranked = self.edges.withColumn("pos", (F.row_number().over(by_src) - 1).cast("long"))
-        else:
-            ranked = self._blockwise(hubs)
+        ranked = adjacency_of(self)
         deg = self.vertices.select(F.col("vertex").alias("dst"), F.col("out_deg").alias("dst_deg"))
         return cut(ranked.join(deg, "dst").select("src", "pos", "dst", "dst_deg"), "adjacency")
 
-    def _blockwise(self, hubs: DataFrame, blocks: int = 256) -> DataFrame:
-        bounds = self.edges.join(hubs.select(F.col("vertex").alias("src")), "src").groupBy("src").agg(
-            F.percentile_approx("dst", F.array(*[F.lit(i / blocks) for i in range(1, blocks)]), 20 * blocks).alias("cuts")
-        )
-        dealt = self.edges.join(bounds, "src", "left").select(
-            "src", "dst", F.coalesce(F.size(F.filter("cuts", lambda x: x <= F.col("dst"))), F.lit(0)).alias("block")
-        )
-        before = Window.partitionBy("src").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
-        starts = dealt.groupBy("src", "block").count().select("src", "block", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("start"))
-        within = Window.partitionBy("src", "block").orderBy("dst")
-        return dealt.withColumn("r", F.row_number().over(within) - 1).join(starts, ["src", "block"]).select("src", "dst", (F.col("start") + F.col("r")).alias("pos"))
-
     @cached_property
     def push_edges(self) -> DataFrame:
         """src, dst, share = 1 / out-degree of src: what a lap joins with."""
@@ -119,6 +102,23 @@ class Graph:
         return self._shared
 
 
+def adjacency_of(g: Graph, hub_degree: int = HUB_DEGREE, blocks: int = 256) -> DataFrame:
+    """src, pos, dst. Edges of vertices above `hub_degree` are ranked within blocks of dst values, whose offsets are added."""
+    hubs = g.vertices.where(F.col("out_deg") > hub_degree).select(F.col("vertex").alias("src"))
+    if hubs.isEmpty():
+        by_src = Window.partitionBy("src").orderBy("dst")
+        return g.edges.select("src", (F.row_number().over(by_src) - 1).cast("long").alias("pos"), "dst")
+    at = F.array(*[F.lit(i / blocks) for i in range(1, blocks)])
+    bounds = g.edges.join(hubs, "src").groupBy("src").agg(F.percentile_approx("dst", at, 20 * blocks).alias("cuts"))
+    dealt = g.edges.join(bounds, "src", "left").select(
+        "src", "dst", F.when(F.col("cuts").isNull(), 0).otherwise(F.size(F.filter("cuts", lambda x: x <= F.col("dst")))).alias("block")
+    )
+    before = Window.partitionBy("src").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
+    starts = dealt.groupBy("src", "block").count().select("src", "block", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("start"))
+    within = Window.partitionBy("src", "block").orderBy("dst")
+    return dealt.withColumn("r", F.row_number().over(within) - 1).join(starts, ["src", "block"]).select("src", (F.col("start") + F.col("r")).alias("pos"), "dst")
+
+
 def build_graph(edges: DataFrame, symmetric: bool = False, drop_loops: bool = False) -> Graph:
     """Edges (src, dst) as a set: nulls and repeats go, reversed edges and loops as asked. Other columns are ignored."""
     e = edges.select(F.col("src").cast("long").alias("src"), F.col("dst").cast("long").alias("dst")).where("src is not null and dst is not null")
