@@ -1,12 +1,16 @@
 """Near-duplicate removal by a chosen-path similarity join over word shingles.
 
 Documents with equal shingle sets are one class. Every class enters one node of each of
-several independent trees: the node of a minwise token. Nodes grow apart recursively:
-a node that still holds many unlinked classes is branched by further minwise tokens,
-chosen by the node itself; a small one is compared exhaustively. What is already known to
-be connected is never compared again, so a group of n near copies costs about n
-comparisons rather than n squared, while no link between different components is skipped.
-Every reported link is confirmed on the full shingle sets.
+several independent trees: the node of a minwise token. In a node, all members are
+measured against its least member by their tokens. Those close to it form its core and
+leave the node; those that could still link with a core member are attached to it. What
+remains is compared exhaustively where it is small, and otherwise branched by further
+minwise tokens, chosen by the node itself. So dense groups cost one row per member and
+node, and sparse nodes grow apart.
+
+Cores that share members are one cluster. Within a cluster and what is attached to
+it, links are decided on the full shingle sets, in blocks of bounded size, and only a spanning
+part of them leaves a task; connectivity, not the number of links, is what is asked for.
 """
 
 from __future__ import annotations
@@ -30,8 +34,14 @@ RECALL = 0.99999
 TOKENS = 64
 #: Levels below the roots, and branches of a large node at each.
 DEPTH, BRANCHES = 3, 2
-#: Pairs of unlinked classes up to which a node is compared exhaustively.
-SMALL = 2000
+#: Members that may remain in a node for an exhaustive comparison.
+SMALL = 48
+#: Of 64 tokens, as many agree with a node's least member in its core; as many in what is attached to it; and as many in an
+#: exhaustively compared pair. A link (0.8) with a core member (0.75 measured) leaves 0.4 or more to
+#: the least member, well above 0.28; a link falls under 0.5 with a chance of 1e-8.
+CORE, ATTACHED, PAIR = 48, 18, 32
+#: Bytes of shingle sets in a block.
+BLOCK_BYTES = 4 << 20
 
 _FACTORS = mix(np.arange(1, TOKENS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) | np.uint64(1)
 
@@ -97,36 +107,93 @@ def _sets(docs: DataFrame, k: int) -> DataFrame:
     return docs.select("cid", "text").mapInArrow(run, "cid bigint, grams binary")
 
 
-def _alike(x: str, y: str, nx: str, ny: str, percent: int) -> Column:
-    """Whether tokens and sizes leave a link possible. Tokens only rule out pairs that agree on far fewer than a link would
-    (six standard deviations below; chance under 1e-8)."""
-    p = percent / 100
-    least = max(0, math.floor(TOKENS * p - 6 * math.sqrt(TOKENS * p * (1 - p))))
-    agree = F.aggregate(F.zip_with(x, y, lambda a, b: (a == b).cast("int")), F.lit(0), lambda s, v: s + v)
-    sizes = F.lit(100) * F.least(nx, ny) >= F.lit(percent) * F.greatest(nx, ny)
-    return sizes & (agree >= least)
+def _agree(x: str, y: str) -> Column:
+    return F.aggregate(F.zip_with(x, y, lambda a, b: (a == b).cast("int")), F.lit(0), lambda s, v: s + v)
+
+
+def _links_within(sets: list[np.ndarray], percent: int) -> np.ndarray:
+    """Pairs (positions) that link, a spanning part of them, decided on whole sets.
+
+    Shingles held by few sets are counted pair by pair, the others by products of their
+    incidence, a bounded number of columns at a time.
+    """
+    d = len(sets)
+    size = np.array([len(x) for x in sets])
+    _, column, held = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    row = np.repeat(np.arange(d), size)
+    both = np.zeros((d, d), np.float32)
+    order = np.argsort(column, kind="stable")
+    row, starts = row[order], np.cumsum(held) - held
+    few = 8
+    for n in range(2, few + 1):
+        at = starts[held == n]
+        for i in range(n):
+            for j in range(i + 1, n):
+                np.add.at(both, (row[at + i], row[at + j]), 1)
+    many = np.flatnonzero(held > few)
+    for part in np.array_split(many, max(1, -(-len(many) * d // (1 << 23)))) if len(many) else ():
+        x = np.zeros((d, len(part)), np.float32)
+        n = held[part]
+        spots = np.arange(int(n.sum())) + np.repeat(starts[part] - (np.cumsum(n) - n), n)
+        x[row[spots], np.repeat(np.arange(len(part)), n)] = 1
+        both += np.triu(x @ x.T, 1)
+    i, j = np.nonzero(np.triu(100 * both >= percent * (size[:, None] + size[None, :] - both), 1))
+    parent = list(range(d))
+
+    def root(v: int) -> int:
+        while parent[v] != v:
+            parent[v] = parent[parent[v]]
+            v = parent[v]
+        return v
+
+    out = []
+    for a, b in zip(i.tolist(), j.tolist()):
+        if (ra := root(a)) != (rb := root(b)):
+            parent[max(ra, rb)] = min(ra, rb)
+            out.append((a, b))
+    return np.array(out, np.int64).reshape(-1, 2)
+
 
+def _confirm(groups: DataFrame, docs: DataFrame, points: DataFrame, k: int, percent: int) -> DataFrame:
+    """Links (a, b) among the members (grp, cid) of each group, on their full sets.
 
-def _confirm(pairs: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFrame:
-    """Pairs (a, b) that are links on their full sets. Texts are read again only for classes in a pair."""
-    pairs = cut(pairs.select("a", "b").distinct(), "pairs")
-    wanted = pairs.select(F.col("a").alias("cid")).unionByName(pairs.select(F.col("b").alias("cid"))).distinct()
+    Texts are read again only for members. A group beyond a block's bytes is dealt into blocks,
+    and every pair of blocks is one unit of work.
+    """
+    sized = groups.join(points.select("cid", "n"), "cid")
+    load = sized.groupBy("grp").agg(F.count("*").alias("m"), F.ceil(F.sum("n") * 8 / F.lit(BLOCK_BYTES)).cast("int").alias("blocks")).where("m > 1")
+    own = F.pmod(F.xxhash64("cid"), F.col("blocks")).cast("int")
+    rows = cut(groups.join(load, "grp").select("grp", "cid", "blocks", own.alias("own")), "units")
+    others = F.filter(F.sequence(F.lit(0), F.col("blocks") - 1), lambda x: x != F.col("own"))
+    units = rows.withColumn("other", F.explode(F.when(F.col("blocks") == 1, F.array(F.lit(0))).otherwise(others))).select(
+        "grp", "cid", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j")
+    )
+    wanted = rows.select("cid").distinct()
     texts = docs.select(F.col("doc_id").cast("long").alias("cid"), "text").join(wanted, "cid", "left_semi")
-    grams = cut(_sets(texts.groupBy("cid").agg(F.min("text").alias("text")) if _repeats(docs) else texts, k), "sets")
+    grams = _sets(texts.groupBy("cid").agg(F.min("text").alias("text")) if _repeats(docs) else texts, k)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key, ids, sets = None, [], []
+
+        def done() -> pa.RecordBatch:
+            found = _links_within(sets, percent)
+            at = np.array(ids)
+            return pa.RecordBatch.from_arrays([pa.array(at[found[:, 0]], pa.int64()), pa.array(at[found[:, 1]], pa.int64())], ["a", "b"])
+
         for batch in batches:
-            ok = []
-            for x, y in zip(batch.column("x"), batch.column("y")):
-                x, y = (np.frombuffer(v.as_buffer(), np.uint64) for v in (x, y))
-                both = len(np.intersect1d(x, y, assume_unique=True))
-                ok.append(100 * both >= percent * (len(x) + len(y) - both))
-            yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b")], ["a", "b"]).filter(pa.array(ok, pa.bool_()))
-
-    whole = pairs.join(grams.select(F.col("cid").alias("a"), F.col("grams").alias("x")), "a").join(
-        grams.select(F.col("cid").alias("b"), F.col("grams").alias("y")), "b"
-    )
-    return whole.select("a", "b", "x", "y").mapInArrow(run, "a bigint, b bigint")
+            cols = [batch.column(c).to_pylist() for c in ("grp", "i", "j", "cid")]
+            for g, i, j, cid, x in zip(*cols, batch.column("grams")):
+                if (g, i, j) != key:
+                    if len(ids) > 1:
+                        yield done()
+                    key, ids, sets = (g, i, j), [], []
+                ids.append(cid)
+                sets.append(np.frombuffer(x.as_py(), np.uint64))
+        if len(ids) > 1:
+            yield done()
+
+    dealt = units.join(grams, "cid").repartition("grp", "i", "j").sortWithinPartitions("grp", "i", "j", "cid")
+    return dealt.select("grp", "i", "j", "cid", "grams").mapInArrow(run, "a bigint, b bigint")
 
 
 def _repeats(docs: DataFrame) -> bool:
@@ -153,41 +220,35 @@ def near_dedup(docs: DataFrame, k: int = 5, percent: int = PERCENT, recall: floa
     nodes = points.select("cid", "n", "tokens", F.posexplode(F.slice("tokens", 1, trees)).alias("tree", "token")).select(
         "cid", "n", "tokens", F.xxhash64("tree", "token").alias("node")
     )
-    sized = nodes.groupBy("node").agg(F.count("*").alias("size"), F.min(F.struct("cid", "n", "tokens")).alias("lead")).where("size > 1")
-    # First every member against its node's least: most of a dense group connects here.
-    stars = (
-        nodes.join(sized.select("node", F.col("lead.cid").alias("b"), F.col("lead.n").alias("bn"), F.col("lead.tokens").alias("bt")), "node")
-        .where((F.col("cid") != F.col("b")) & _alike("tokens", "bt", "n", "bn", percent))
-        .select(F.col("b").alias("a"), F.col("cid").alias("b"))
-    )
-    links = cut(_confirm(stars, docs, k, percent), "links")
-    known = components(links, "star-cc")
-    members = cut(
-        nodes.join(sized.select("node"), "node", "left_semi")
-        .join(known.withColumnRenamed("node", "cid"), "cid", "left")
-        .select("node", "cid", "n", "tokens", F.coalesce("component", "cid").alias("comp")),
-        "members",
-    )
-    found = None
+    core = attached = None
     for level in range(DEPTH + 1):
-        per = members.groupBy("node", "comp").agg(F.count("*").alias("m"))
-        open_nodes = per.groupBy("node").agg(F.sum("m").alias("all"), F.sum(F.col("m") * F.col("m")).alias("same"), F.count("*").alias("comps")).where("comps > 1")
-        pairs_in = (F.col("all") * F.col("all") - F.col("same")) / 2
+        leads = nodes.groupBy("node").agg(F.count("*").alias("size"), F.min("cid").alias("lead")).where("size > 1")
+        leads = leads.join(points.select(F.col("cid").alias("lead"), F.col("tokens").alias("held")), "lead")
+        measured = nodes.join(leads.select("node", "lead", "held"), "node").where("cid <> lead")
+        measured = cut(measured.select("node", "cid", "lead", _agree("tokens", "held").alias("agree")), "measured")
+        near = measured.where(F.col("agree") >= CORE).select(F.col("lead").alias("a"), F.col("cid").alias("b"))
+        off = measured.where((F.col("agree") >= ATTACHED) & (F.col("agree") < CORE)).select(F.col("lead").alias("a"), F.col("cid").alias("b"))
+        core, attached = (near, off) if core is None else (core.unionByName(near), attached.unionByName(off))
+        rest = measured.where(F.col("agree") < CORE).select("node", "cid")
+        left = rest.groupBy("node").agg(F.count("*").alias("m")).where("m > 1")
         last = level == DEPTH
-        todo = cut(open_nodes.select("node", (pairs_in <= SMALL if not last else F.lit(True)).alias("small")), "nodes")
-        live = members.join(todo, "node")
-        fresh = _across(live.where("small"), percent)
-        found = fresh if found is None else found.unionByName(fresh)
-        if last or todo.where("not small").isEmpty():
+        small, large = (left, left.limit(0)) if last else (left.where(F.col("m") <= SMALL), left.where(F.col("m") > SMALL))
+        x = cut(rest.join(small.select("node"), "node", "left_semi").join(points, "cid"), "small")
+        y = x.select("node", F.col("cid").alias("b"), F.col("n").alias("bn"), F.col("tokens").alias("bt"))
+        possible = (F.col("cid") < F.col("b")) & (100 * F.least("n", "bn") >= percent * F.greatest("n", "bn")) & (_agree("tokens", "bt") >= PAIR)
+        core = core.unionByName(x.join(y, "node").where(possible).select(F.col("cid").alias("a"), "b"))
+        if last or large.isEmpty():
             break
-        picks = F.array(*[F.pmod(F.xxhash64("node", F.lit(i)), F.lit(TOKENS)).cast("int") for i in range(BRANCHES)])
-        members = cut(
-            live.where("not small").withColumn("pick", F.explode(F.array_distinct(picks)))
-            .select(F.xxhash64("node", "pick", F.get(F.col("tokens"), F.col("pick"))).alias("node"), "cid", "n", "tokens", "comp"),
-            "members",
+        picks = F.array_distinct(F.array(*[F.pmod(F.xxhash64("node", F.lit(i)), F.lit(TOKENS)).cast("int") for i in range(BRANCHES)]))
+        nodes = cut(
+            rest.join(large.select("node"), "node", "left_semi").join(points, "cid").withColumn("pick", F.explode(picks))
+            .select("cid", "n", "tokens", F.xxhash64("node", "pick", F.get(F.col("tokens"), F.col("pick"))).alias("node")), "nodes",
         )
-    more = cut(_confirm(found, docs, k, percent), "links")
-    joined = components(links.unionByName(more), "cc").withColumnRenamed("node", "cid")
+    clusters = components(core, "clusters")
+    grouped = clusters.select(F.col("component").alias("grp"), F.col("node").alias("cid"))
+    led = attached.distinct().join(clusters.withColumnRenamed("node", "a"), "a", "left").select(F.coalesce("component", "a").alias("grp"), F.col("b").alias("cid"), "a")
+    groups = grouped.unionByName(led.select("grp", "cid")).unionByName(led.select("grp", F.col("a").alias("cid"))).distinct()
+    joined = components(_confirm(groups, docs, points, k, percent), "cc").withColumnRenamed("node", "cid")
     # Copies meet their class by identity; the class carries its component's least document.
     named = classes.join(joined, "cid", "left").select("lo", "hi", "n", F.coalesce("component", "cid").alias("component_id"))
     if _repeats(docs):
@@ -200,14 +261,3 @@ def near_dedup(docs: DataFrame, k: int = 5, percent: int = PERCENT, recall: floa
         out = rows.select("doc_id", "n", "lo", "hi").join(named, ["lo", "hi", "n"], "left")
     own_id = F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id"))
     return out.select("doc_id", F.col("n").alias("n_shingles"), own_id.alias("component_id"), F.col("doc_id").eqNullSafe(own_id).alias("kept"))
-
-
-def _across(live: DataFrame, percent: int) -> DataFrame:
-    """Possible links between members of one node that lie in different components."""
-    comps = live.select("node", "comp").distinct()
-    routes = comps.withColumnRenamed("comp", "ca").join(comps.withColumnRenamed("comp", "cb"), "node").where("ca < cb")
-    a = live.select("node", F.col("comp").alias("ca"), F.col("cid").alias("a"), F.col("n").alias("na"), F.col("tokens").alias("ta"))
-    b = live.select("node", F.col("comp").alias("cb"), F.col("cid").alias("b"), F.col("n").alias("nb"), F.col("tokens").alias("tb"))
-    return routes.join(a, ["node", "ca"]).join(b, ["node", "cb"]).where(_alike("ta", "tb", "na", "nb", percent)).select(
-        F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")
-    )

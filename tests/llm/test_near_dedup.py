@@ -57,9 +57,10 @@ def planted(seed, groups=6, copies=60, length=120):
     return docs
 
 
-@pytest.mark.parametrize("k, small", [(4, 2000), (5, 20)])
+@pytest.mark.parametrize("k, small", [(4, 48), (5, 4)])
 def test_groups_as_brute_force(spark, k, small, monkeypatch):
     monkeypatch.setattr(N, "SMALL", small)
+    monkeypatch.setattr(N, "BLOCK_BYTES", 1000 * small)
     docs = planted(k) | {5000: None, 5001: "", 5002: "Two  words", 5003: "two\twords", 5004: "two", 5005: " \n "}
     df = spark.createDataFrame([(i, t, 1) for i, t in docs.items()], "doc_id long, text string, n int")
     got = {r.doc_id: (r.n_shingles, r.component_id) for r in N.near_dedup(df, k=k).collect()}
@@ -84,6 +85,32 @@ def test_null_ids_repeats_and_empty_table(spark):
     assert N.near_dedup(df.limit(0)).count() == 0
 
 
+@pytest.mark.parametrize("seed", range(4))
+def test_links_on_whole_sets(seed):
+    import numpy as np
+
+    rng = np.random.default_rng(seed)
+    base = rng.integers(0, 1 << 60, 80)
+    sets = [np.unique(np.concatenate([rng.permutation(base)[: rng.integers(60, 81)], rng.integers(0, 1 << 60, rng.integers(0, 12))])).astype(np.uint64) for _ in range(40)]
+    sets += [np.unique(rng.integers(0, 1 << 60, 5)).astype(np.uint64) for _ in range(5)]
+    parent = list(range(len(sets)))
+
+    def root(v):
+        return v if parent[v] == v else root(parent[v])
+
+    for i, x in enumerate(sets):
+        for j, y in enumerate(sets[:i]):
+            both = len(np.intersect1d(x, y))
+            if 100 * both >= 80 * (len(x) + len(y) - both):
+                parent[max(root(i), root(j))] = min(root(i), root(j))
+    want = [root(i) for i in range(len(sets))]
+    parent = list(range(len(sets)))
+    for a, b in N._links_within(sets, 80):
+        assert root(a) != root(b)
+        parent[max(root(a), root(b))] = min(root(a), root(b))
+    assert [root(i) for i in range(len(sets))] == want and len(set(want)) < len(sets)
+
+
 def test_trees_reach_the_recall():
     assert N.trees_for(80, 0.9) < N.trees_for(80, 0.99999) <= 16
 
