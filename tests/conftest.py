@@ -1,4 +1,6 @@
 import os
+
+os.environ.setdefault("OPENBLAS_NUM_THREADS", "1")  # before NumPy loads: its solver stalls beside a JVM otherwise
 import sys
 import tempfile
 
