@@ -2,12 +2,11 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.lineage import cut, shared_path  # noqa: F401  for the operators
+
 #: ASCII white space as the contracts define it, for Java's and Python's regular expressions.
 ASCII_SPACE = r"[\x20\x09-\x0D]+"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -18,36 +17,6 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder every executor sees; a local one is made only where none is configured (tests)."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    if not found:
-        found = "file://" + tempfile.mkdtemp(prefix="ripplerank-")
-        spark.conf.set("spark.checkpoint.dir", found)
-    return found.rstrip("/")
-
-
-def shared_path(spark: SparkSession, label: str) -> str:
-    """A fresh path in the shared folder, deleted when the driver's JVM ends."""
-    path = f"{shared_dir(spark)}/ripplerank/{label}-{uuid.uuid4().hex}"
-    jvm = spark.sparkContext._jvm
-    hadoop = jvm.org.apache.hadoop.fs.Path(path)
-    hadoop.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(hadoop)
-    return path
-
-
-def cut(df: DataFrame, label: str) -> DataFrame:
-    """Write `df` to the shared folder and read it back.
-
-    Lineage ends here, so a lost executor costs a re-read, not a recomputation, and
-    a frame that is used several times is computed once.
-    """
-    spark = df.sparkSession
-    path = shared_path(spark, label)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def ascii_lower(text: Column) -> Column:
     """Lower-case A-Z only; null counts as empty."""
     return F.translate(F.coalesce(text, F.lit("")), UPPER, LOWER)
@@ -61,11 +30,12 @@ def words_of(text: Column, separators: str) -> Column:
 def components(edges: DataFrame, label: str = "cc", max_rounds: int = 60) -> DataFrame:
     """Connected components of undirected edges (a, b): rows (node, component), component = least node.
 
-    Alternates the large-star and small-star rewrites: every vertex ties its larger
-    neighbours, then its smaller ones, to the least vertex it knows. Both are
-    a min-aggregate (combined before its shuffle, so hubs are harmless) and an
-    equi-join that adaptive execution may split. Loops and null ends are ignored;
-    no edges give no rows. Only a count and a checksum reach the driver.
+    Alternates the small-star and large-star rewrites: every vertex ties its smaller
+    neighbours, then its larger ones, to the least vertex it knows. Both are a
+    min-aggregate (combined before its shuffle, so hubs are harmless) and an equi-join that
+    adaptive execution may split. The small star goes first, as it leaves one edge for each
+    vertex beside those between hubs. Loops and null ends are ignored; no edges give no
+    rows. Only a flag reaches the driver each round.
     """
     e = cut(
         edges.where(F.col("a").isNotNull() & F.col("b").isNotNull() & (F.col("a") != F.col("b")))
@@ -73,31 +43,25 @@ def components(edges: DataFrame, label: str = "cc", max_rounds: int = 60) -> Dat
         .distinct(),
         label,
     )
-    seen = None
     for _ in range(max_rounds):
-        state = e.agg(
-            F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))
-        ).first()
-        if state == seen or state[0] == 0:
+        if _stars(e):
+            break
+        low = e.groupBy("a").agg(F.min("b").alias("m"))
+        small = e.join(low, "a").where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(low.withColumnRenamed("m", "b")).distinct()
+        e = cut(small, label)
+        if _stars(e):
             break
-        seen = state
         both = e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
         least = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
-        large = (
-            both.join(least, "a").where(F.col("b") > F.col("a"))
-            .select(F.col("b").alias("a"), F.col("m").alias("b"))
-            .where("a != b").distinct()
-        )
-        low = large.groupBy("a").agg(F.min("b").alias("m"))
-        small = (
-            large.join(low, "a")
-            .select(F.explode(F.array(
-                F.struct(F.col("a"), F.col("m").alias("b")),
-                F.struct(F.col("b").alias("a"), F.col("m").alias("b")),
-            )).alias("s")).select("s.a", "s.b").where("a != b").distinct()
-        )
-        e = cut(small, label)
+        large = both.join(least, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+        e = cut(large, label)
     else:
         raise RuntimeError(f"components did not settle in {max_rounds} rounds")
     stars = e.select(F.col("a").alias("node"), F.col("b").alias("component"))
     return stars.unionByName(stars.select(F.col("component").alias("node"), "component").distinct())
+
+
+def _stars(e: DataFrame) -> bool:
+    """Whether every vertex has one smaller neighbour or none, and centres have none: components are read off."""
+    ends = e.select(F.inline(F.array(F.struct(F.col("a").alias("n"), F.lit(1).alias("up"), F.lit(0).alias("down")), F.struct(F.col("b").alias("n"), F.lit(0).alias("up"), F.lit(1).alias("down")))))
+    return ends.groupBy("n").agg(F.sum("up").alias("up"), F.sum("down").alias("down")).where("up > 1 or (up > 0 and down > 0)").isEmpty()
