@@ -105,11 +105,12 @@ def batch_ppr(
     Without an index the settled vector is the answer. laps = 0 gives the stored vectors as
     they are. Frontier mass at vertices that a partial index lacks is left out, so normalise
     makes up for it. The answers are normalised last, which is also what makes dangling
-    vertices exact. Repeated queries are answered once; unknown ones not at all.
+    vertices exact. Repeated queries are answered once; unknown ones not at all. In
+    broadcast mode `idx` may also be what share_index gave, which many batches then use.
     """
     if idx is None and laps < 1 and residual is None:
         raise ValueError("without an index at least one lap is needed")
-    if mode == "auto" and idx is not None and not _index_fits(idx):
+    if mode == "auto" and isinstance(idx, DataFrame) and not _index_fits(idx):
         mode = "shuffle"
     if pick_mode(g, mode) == "broadcast":
         answer = _local_answers(g, idx, queries, laps, c, eps, k, normalise, residual)
@@ -139,7 +140,7 @@ def share_index(g: Graph, idx: DataFrame):
 
 def _local_answers(g, idx, queries, laps, c, eps, k, normalise, residual) -> DataFrame:
     shared = g.shared()
-    stored = None if idx is None else idx if hasattr(idx, "value") else share_index(g, idx)
+    stored = None if idx is None else share_index(g, idx) if isinstance(idx, DataFrame) else idx
     if residual is not None:
         laps = max(laps, laps_for_residual(residual, c))
 
