@@ -36,12 +36,12 @@ TOKENS = 64
 DEPTH, BRANCHES = 3, 2
 #: Members that may remain in a node for an exhaustive comparison.
 SMALL = 48
-#: Of 64 tokens, as many agree with a node's least member in its core; as many in what is attached to it; and as many in an
-#: exhaustively compared pair. A link (0.8) with a core member (0.75 measured) leaves 0.4 or more to
-#: the least member, well above 0.28; a link falls under 0.5 with a chance of 1e-8.
-CORE, ATTACHED, PAIR = 48, 18, 32
-#: Bytes of shingle sets in a block.
-BLOCK_BYTES = 4 << 20
+#: Of 64 tokens, as many agree with a node's least member in its core and in an exhaustively compared pair (a link falls
+#: under it with a chance of 1e-8); and as many in what is attached to a core: a link of a core
+#: member keeps four fifths of its agreements, 25 or more expected, in each of the trees.
+CORE, ATTACHED = 32, 18
+#: Bytes of shingle sets, and sets, in a block.
+BLOCK_BYTES, BLOCK_SETS = 4 << 20, 1024
 
 _FACTORS = mix(np.arange(1, TOKENS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) | np.uint64(1)
 
@@ -131,13 +131,19 @@ def _links_within(sets: list[np.ndarray], percent: int) -> np.ndarray:
             for j in range(i + 1, n):
                 np.add.at(both, (row[at + i], row[at + j]), 1)
     many = np.flatnonzero(held > few)
-    for part in np.array_split(many, max(1, -(-len(many) * d // (1 << 23)))) if len(many) else ():
+    for part in np.array_split(many, max(1, -(-len(many) * d // (1 << 22)))) if len(many) else ():
         x = np.zeros((d, len(part)), np.float32)
         n = held[part]
         spots = np.arange(int(n.sum())) + np.repeat(starts[part] - (np.cumsum(n) - n), n)
         x[row[spots], np.repeat(np.arange(len(part)), n)] = 1
         both += np.triu(x @ x.T, 1)
-    i, j = np.nonzero(np.triu(100 * both >= percent * (size[:, None] + size[None, :] - both), 1))
+    found = []
+    for at in range(0, d, 256):
+        rows = both[at : at + 256]
+        i, j = np.nonzero(100 * rows >= percent * (size[at : at + 256, None] + size[None, :] - rows))
+        ahead = j > i + at
+        found.append((i[ahead] + at, j[ahead]))
+    i, j = (np.concatenate(x) for x in zip(*found))
     parent = list(range(d))
 
     def root(v: int) -> int:
@@ -161,7 +167,7 @@ def _confirm(groups: DataFrame, docs: DataFrame, points: DataFrame, k: int, perc
     and every pair of blocks is one unit of work.
     """
     sized = groups.join(points.select("cid", "n"), "cid")
-    load = sized.groupBy("grp").agg(F.count("*").alias("m"), F.ceil(F.sum("n") * 8 / F.lit(BLOCK_BYTES)).cast("int").alias("blocks")).where("m > 1")
+    load = sized.groupBy("grp").agg(F.count("*").alias("m"), F.ceil(F.greatest(F.sum("n") * 8 / F.lit(BLOCK_BYTES), F.count("*") / F.lit(BLOCK_SETS))).cast("int").alias("blocks")).where("m > 1")
     own = F.pmod(F.xxhash64("cid"), F.col("blocks")).cast("int")
     rows = cut(groups.join(load, "grp").select("grp", "cid", "blocks", own.alias("own")), "units")
     others = F.filter(F.sequence(F.lit(0), F.col("blocks") - 1), lambda x: x != F.col("own"))
@@ -235,7 +241,7 @@ def near_dedup(docs: DataFrame, k: int = 5, percent: int = PERCENT, recall: floa
         small, large = (left, left.limit(0)) if last else (left.where(F.col("m") <= SMALL), left.where(F.col("m") > SMALL))
         x = cut(rest.join(small.select("node"), "node", "left_semi").join(points, "cid"), "small")
         y = x.select("node", F.col("cid").alias("b"), F.col("n").alias("bn"), F.col("tokens").alias("bt"))
-        possible = (F.col("cid") < F.col("b")) & (100 * F.least("n", "bn") >= percent * F.greatest("n", "bn")) & (_agree("tokens", "bt") >= PAIR)
+        possible = (F.col("cid") < F.col("b")) & (100 * F.least("n", "bn") >= percent * F.greatest("n", "bn")) & (_agree("tokens", "bt") >= CORE)
         core = core.unionByName(x.join(y, "node").where(possible).select(F.col("cid").alias("a"), "b"))
         if last or large.isEmpty():
             break

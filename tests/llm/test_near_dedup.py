@@ -60,7 +60,7 @@ def planted(seed, groups=6, copies=60, length=120):
 @pytest.mark.parametrize("k, small", [(4, 48), (5, 4)])
 def test_groups_as_brute_force(spark, k, small, monkeypatch):
     monkeypatch.setattr(N, "SMALL", small)
-    monkeypatch.setattr(N, "BLOCK_BYTES", 1000 * small)
+    monkeypatch.setattr(N, "BLOCK_SETS", small)
     docs = planted(k) | {5000: None, 5001: "", 5002: "Two  words", 5003: "two\twords", 5004: "two", 5005: " \n "}
     df = spark.createDataFrame([(i, t, 1) for i, t in docs.items()], "doc_id long, text string, n int")
     got = {r.doc_id: (r.n_shingles, r.component_id) for r in N.near_dedup(df, k=k).collect()}
