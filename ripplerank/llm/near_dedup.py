@@ -223,19 +223,20 @@ def near_dedup(docs: DataFrame, k: int = 5, percent: int = PERCENT, recall: floa
     )
     points = classes.select("cid", "n", "tokens")
     trees = trees_for(percent, recall)
-    nodes = points.select("cid", "n", "tokens", F.posexplode(F.slice("tokens", 1, trees)).alias("tree", "token")).select(
-        "cid", "n", "tokens", F.xxhash64("tree", "token").alias("node")
-    )
+    nodes = points.select("cid", F.posexplode(F.slice("tokens", 1, trees)).alias("tree", "token")).select("cid", F.xxhash64("tree", "token").alias("node"))
     core = attached = None
     for level in range(DEPTH + 1):
         leads = nodes.groupBy("node").agg(F.count("*").alias("size"), F.min("cid").alias("lead")).where("size > 1")
-        leads = leads.join(points.select(F.col("cid").alias("lead"), F.col("tokens").alias("held")), "lead")
-        measured = nodes.join(leads.select("node", "lead", "held"), "node").where("cid <> lead")
-        measured = cut(measured.select("node", "cid", "lead", _agree("tokens", "held").alias("agree")), "measured")
-        near = measured.where(F.col("agree") >= CORE).select(F.col("lead").alias("a"), F.col("cid").alias("b"))
-        off = measured.where((F.col("agree") >= ATTACHED) & (F.col("agree") < CORE)).select(F.col("lead").alias("a"), F.col("cid").alias("b"))
+        met = cut(nodes.join(leads.select("node", "lead"), "node").where("cid <> lead"), "met")
+        # Members meet the same least member in many trees; each such pair is measured once.
+        pairs = met.select("cid", "lead").distinct().join(points.select("cid", "tokens"), "cid")
+        pairs = pairs.join(points.select(F.col("cid").alias("lead"), F.col("tokens").alias("held")), "lead")
+        pairs = cut(pairs.select("cid", "lead", _agree("tokens", "held").alias("agree")), "measured")
+        measured = met.join(pairs, ["cid", "lead"])
+        near = pairs.where(F.col("agree") >= CORE).select(F.col("lead").alias("a"), F.col("cid").alias("b"))
+        off = pairs.where((F.col("agree") >= ATTACHED) & (F.col("agree") < CORE)).select(F.col("lead").alias("a"), F.col("cid").alias("b"))
         core, attached = (near, off) if core is None else (core.unionByName(near), attached.unionByName(off))
-        rest = measured.where(F.col("agree") < CORE).select("node", "cid")
+        rest = cut(measured.where(F.col("agree") < CORE).select("node", "cid"), "rest")
         left = rest.groupBy("node").agg(F.count("*").alias("m")).where("m > 1")
         last = level == DEPTH
         small, large = (left, left.limit(0)) if last else (left.where(F.col("m") <= SMALL), left.where(F.col("m") > SMALL))
@@ -248,7 +249,7 @@ def near_dedup(docs: DataFrame, k: int = 5, percent: int = PERCENT, recall: floa
         picks = F.array_distinct(F.array(*[F.pmod(F.xxhash64("node", F.lit(i)), F.lit(TOKENS)).cast("int") for i in range(BRANCHES)]))
         nodes = cut(
             rest.join(large.select("node"), "node", "left_semi").join(points, "cid").withColumn("pick", F.explode(picks))
-            .select("cid", "n", "tokens", F.xxhash64("node", "pick", F.get(F.col("tokens"), F.col("pick"))).alias("node")), "nodes",
+            .select("cid", F.xxhash64("node", "pick", F.get(F.col("tokens"), F.col("pick"))).alias("node")), "nodes",
         )
     clusters = components(core, "clusters")
     grouped = clusters.select(F.col("component").alias("grp"), F.col("node").alias("cid"))
