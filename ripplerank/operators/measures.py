@@ -112,8 +112,9 @@ def timed(run: Callable[[], DataFrame]) -> tuple[float, DataFrame]:
 
 def shuffle_bytes(spark) -> int:
     """Bytes that finished stages of this application have written to shuffles, from the status store."""
-    store = spark.sparkContext._jsc.sc().statusStore()
-    stages = store.stageList(None, False, False, store.stageList_default_4() if hasattr(store, "stageList_default_4") else [], None)
+    context = spark.sparkContext
+    none = context._gateway.new_array(context._jvm.double, 0)
+    stages = context._jsc.sc().statusStore().stageList(None, False, False, none, context._jvm.java.util.ArrayList())
     it, total = stages.iterator(), 0
     while it.hasNext():
         total += it.next().shuffleWriteBytes()

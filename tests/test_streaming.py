@@ -37,14 +37,18 @@ def test_batches_answer_like_one_batch(spark, tmp_path):
 
 
 def test_late_requests_are_dropped_once_the_watermark_has_passed(spark, tmp_path):
-    rows = [[(1, "2024-01-01 00:00:00", 1), (2, "2024-01-10 00:00:00", 1)], [(3, "2024-01-10 01:00:00", 2)], [(4, "2024-01-01 05:00:00", 3), (5, "2024-01-11 00:00:00", 3)]]
-    (tmp_path / "events.parquet").mkdir()
-    for i, part in enumerate(rows):
+    rows = [[(1, "2024-01-01 00:00:00", 1), (2, "2024-01-10 00:00:00", 1)], [(3, "2024-01-10 01:00:00", 2)], [(4, "2024-01-01 05:00:00", 3), (5, "2024-01-11 02:00:00", 3)], [(6, "2024-01-12 03:00:00", 4)]]
+    source = tmp_path / "events.parquet"
+    source.mkdir()
+    for i, part in enumerate(rows):  # one trigger for each file, in order
         df = spark.createDataFrame(part, "event_id long, t string, user_id long").select("event_id", F.col("t").cast("timestamp").alias("ts"), "user_id", F.lit("q").alias("event_type"), F.lit(0.0).alias("value"), F.lit("{}").alias("props"))
         df.coalesce(1).write.parquet(str(tmp_path / f"p{i}"))
-        shutil.copy(next((tmp_path / f"p{i}").glob("*.parquet")), tmp_path / "events.parquet" / f"{i}.parquet")
-    got = buffer.drain(buffer.windowed(buffer.query_events(spark, str(tmp_path))), "late_windows")
-    assert {str(r.start)[:10]: r.requests for r in got.collect()} == {"2024-01-01": 1, "2024-01-10": 2}
+        shutil.copy(next((tmp_path / f"p{i}").glob("*.parquet")), source / f"{i}.parquet")
+        stream = buffer.windowed(buffer.query_events(spark, str(tmp_path)))
+        q = stream.writeStream.outputMode("append").format("parquet").option("path", str(tmp_path / "out")).option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start()
+        q.awaitTermination()
+    got = spark.read.parquet(str(tmp_path / "out"))
+    assert {str(r.start)[:10]: r.requests for r in got.collect()} == {"2024-01-01": 1, "2024-01-10": 2, "2024-01-11": 1}
 
 
 def test_repeats_state_and_joined_answers(spark, tmp_path):
