@@ -18,7 +18,11 @@ _ASSIGN = re.compile(r"(?:password|passwd|secret|token|api_?key)[\"']?\x20*[:=]\
 _ACCESS = re.compile(r"AKIA[A-Z0-9]{16,}")
 _HEX = re.compile(r"[0-9a-f]{24,}")
 _TOKEN = re.compile(r"(?<![A-Za-z0-9_.-])(eyJ[A-Za-z0-9_-]+)\.([A-Za-z0-9_-]+)\.([A-Za-z0-9_-]*)", re.ASCII)
-_ARMOUR = re.compile(r"-----BEGIN ([A-Z0-9 ]*)-----([A-Za-z0-9+/=\s]*)-----END \1-----", re.ASCII)
+_ARMOUR = re.compile(r"-----BEGIN ([A-Z0-9 ]*)-----((?:(?!-----).)*)-----END \1-----", re.ASCII | re.DOTALL)
+_ESCAPED = re.compile(r"\\+[rn]")
+#: First line of what may be a key in base64, and a further line of it; ends of lines may be written as escapes.
+_HEAD = re.compile(r"(?:(?<=\\n)|(?<=\\r)|(?<![A-Za-z0-9+/_-]))(?:M|AAAA|b3Bl)[A-Za-z0-9+/_-]{15,}={0,2}", re.ASCII)
+_NEXT = re.compile(r"(?:[ \t]*(?:\r\n|\r|\n)[ \t]*|(?:\\+r)?\\+n|\\+r)([A-Za-z0-9+/_-]+={0,2})", re.ASCII)
 _PACKED = re.compile(r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]{40,}={0,2}", re.ASCII)
 _LONG_HEX = re.compile(r"(?<![0-9A-Fa-f])(?:[0-9A-Fa-f]{2}){32,}(?![0-9A-Fa-f])")
 
@@ -111,6 +115,44 @@ def _structure(data: bytes | None) -> str | None:
     return "der" if is_der_key(data) else "sshkey" if is_ssh_key(data) else None
 
 
+def _armoured(body: str) -> bytes | None:
+    """Bytes between armour lines: ends of lines may be escapes; header lines (`name: value`) and their continuations are passed."""
+    kept, header = [], None
+    for line in _ESCAPED.sub("\n", body).splitlines():
+        indent = len(line) - len(line.lstrip())
+        if ":" in line or (header is not None and line.strip() and (header[1] or indent > header[0])):
+            header = (header[0] if header and ":" not in line else indent, line.rstrip().endswith("\\"))
+            continue
+        header = None
+        kept += line.split()
+    return _unpack("".join(kept))
+
+
+def _wrapped(text: str, head: re.Match) -> tuple[int, str] | None:
+    """End and kind of the key that begins with the line `head`, in as many lines as its structure takes."""
+    first = _unpack(head[0].rstrip("=")[:16]) or b""
+    need = 0
+    if first[:1] == b"\x30":  # the DER header tells how many characters follow
+        n = first[1] & 0x7F if first[1] & 0x80 else 0
+        size = int.from_bytes(first[2 : 2 + n], "big") if n else first[1]
+        need = -(-(2 + n + size) * 8 // 6) if n <= 4 else 0
+    if not need and not re.match(rb"\x00\x00\x00.(ssh|ecd|sk-)|openssh-key", first, re.DOTALL):
+        return None
+    lines, end, held = [head[0]], head.end(), len(head[0].rstrip("="))
+    while True:
+        if held >= need >= 40 or not need:
+            if held == need or not need:
+                if kind := _structure(_unpack("".join(lines))):
+                    return end, kind
+            if need:
+                return None
+        more = None if lines[-1].endswith("=") else _NEXT.match(text, end)
+        if not more or (need and need < 40):
+            return None
+        lines.append(more[1])
+        end, held = more.end(), held + len(more[1].rstrip("="))
+
+
 def scan_text(text: str) -> list[tuple[int, int, str]]:
     """All spans (start, end, kind) of one text, by start and then kind. Offsets count code points."""
     found = [(m.start(), m.end(), "assign") for m in _ASSIGN.finditer(text) if len(m[1]) >= 6]
@@ -120,12 +162,15 @@ def scan_text(text: str) -> list[tuple[int, int, str]]:
         if is_signed_header(m[1]):
             found.append((m.start(), m.end(), "signed"))
     for m in _ARMOUR.finditer(text):
-        if kind := _structure(_unpack("".join(m[2].split()))):
+        if kind := _structure(_armoured(m[2])):
             found.append((m.start(), m.end(), kind))
     for pattern, decode in ((_PACKED, _unpack), (_LONG_HEX, bytes.fromhex)):
         for m in pattern.finditer(text):
             if (kind := _structure(decode(m[0]))) and not any(a <= m.start() and m.end() <= b and k == kind for a, b, k in found):
                 found.append((m.start(), m.end(), kind))
+    for m in _HEAD.finditer(text):
+        if (hit := _wrapped(text, m)) and not any(a <= m.start() and hit[0] <= b and k == hit[1] for a, b, k in found):
+            found.append((m.start(), *hit))
     return sorted(found, key=lambda s: (s[0], KINDS.index(s[2]), s[1]))
 
 

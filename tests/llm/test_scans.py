@@ -140,3 +140,19 @@ def test_word_hashes_are_per_word():
                     assert seen.setdefault(w, x) == x
     assert len(set(seen.values())) == len(seen) == 7
     assert len(rolling(h, 2)) == len(h) - 1 and not len(rolling(h[:1], 2))
+
+
+_LINES = base64.encodebytes(PKCS8).decode().split()
+
+
+@pytest.mark.parametrize("text, kind", [
+    ('{"key": "-----BEGIN PRIVATE KEY-----\\n' + "\\n".join(_LINES) + '\\n-----END PRIVATE KEY-----\\n"}', "der"),
+    ("-----BEGIN PRIVATE KEY-----\\r\\n" + "\\r\\n".join(_LINES) + "\\r\\n-----END PRIVATE KEY-----", "der"),
+    ("-----BEGIN PRIVATE KEY-----\nProc-Type: 4,CLEAR\nComment: two\n lines\n\n" + "\n".join(_LINES) + "\n-----END PRIVATE KEY-----", "der"),
+    ("key=" + base64.b64encode(RSA).decode()[:48] + "\n" + "\n".join(re.findall(".{1,48}", base64.b64encode(RSA).decode()[48:])) + "\nwords", "der"),
+    ("KEY=" + "\\n".join(re.findall(".{1,40}", base64.b64encode(RSA).decode())), "der"),
+    ("ssh-rsa\n" + "\n".join(re.findall(".{1,32}", SSH)), "sshkey"),
+])
+def test_wrapped_and_escaped_keys_are_joined(text, kind):
+    found = [(text[a:b], k) for a, b, k in secret_scan.scan_text(text) if k in ("der", "sshkey")]
+    assert [k for _, k in found] == [kind] and not found[0][0].endswith("words")
