@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import re
 from collections.abc import Sequence
+from urllib.parse import urljoin
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StringType
 
 from .common import LOWER, UPPER, components
 
@@ -43,17 +46,33 @@ def match_rule(host: Column, path: Column, rules: Sequence[tuple[str, str, str]]
     return out
 
 
+@F.udf(StringType())
+def _resolved(page: str, base: str, target: str) -> str:
+    """An absolute target as it stands, others against the page's url (and its <base>); empty for what has no host."""
+    if re.match(r"(?i)[a-z][a-z0-9+.-]*://", target):
+        return target
+    try:
+        scheme, mark, rest = urljoin(urljoin(page, base), target).partition("://")
+    except ValueError:
+        return ""
+    own = page.partition("://")[0]
+    return (own if own.lower() == scheme else scheme) + mark + rest if mark and re.fullmatch(r"(?i)[a-z][a-z0-9+.-]*", scheme) else ""
+
+
 def page_links(pages: DataFrame) -> DataFrame:
-    """Alias edges (a, b) that pages state themselves: canonical links and immediate refreshes, absolute urls only."""
+    """Alias edges (a, b) that pages state themselves: canonical links and refreshes, relative targets resolved."""
     html = F.coalesce("html", F.lit(""))
     tags = F.concat(
         F.when(F.lower(html).contains("canonical"), F.regexp_extract_all(html, F.lit(r"(?is)<link\b[^>]*\brel\s*=\s*[\"']?canonical\b[^>]*>"), 0)).otherwise(F.array().cast("array<string>")),
         F.when(F.lower(html).contains("http-equiv"), F.regexp_extract_all(html, F.lit(r"(?is)<meta\b[^>]*\bhttp-equiv\s*=\s*[\"']?refresh\b[^>]*>"), 0)).otherwise(F.array().cast("array<string>")),
     )
+    base = F.regexp_extract(html, r"(?is)<base\b[^>]*\bhref\s*=\s*[\"']?([^\"'\s>]+)", 1)
+    target = F.regexp_extract("tag", r"(?is)(?:\bhref\s*=\s*[\"']?|\burl\s*=\s*[\"']?)\s*([^\"'\s>]+)", 1)
     return (
         pages.where(F.col("url").isNotNull())
-        .select(F.col("url").alias("a"), F.explode(tags).alias("tag"))
-        .select("a", F.regexp_extract("tag", r"(?is)(?:\bhref\s*=\s*[\"']?|url\s*=\s*[\"']?)([a-z][a-z0-9+.-]*://[^\"'\s>]+)", 1).alias("b"))
+        .select(F.col("url").alias("a"), base.alias("base"), F.explode(tags).alias("tag"))
+        .select("a", "base", target.alias("target")).where("target <> ''")
+        .select("a", _resolved("a", "base", "target").alias("b"))
         .where("b <> ''")
     )
 

@@ -156,3 +156,14 @@ _LINES = base64.encodebytes(PKCS8).decode().split()
 def test_wrapped_and_escaped_keys_are_joined(text, kind):
     found = [(text[a:b], k) for a, b, k in secret_scan.scan_text(text) if k in ("der", "sshkey")]
     assert [k for _, k in found] == [kind] and not found[0][0].endswith("words")
+
+
+def test_relative_targets_are_resolved(spark):
+    link = '<link rel="canonical" href="{}">'.format
+    rows = [
+        (1, "http://a.com/x/1", link("/en/5")), (2, "http://b.com/x/y", link("../en/6")), (3, "https://c.test/", link("//d.com/en/7")),
+        (4, "http://e.com/q", '<meta http-equiv="refresh" content="0; url=/en/8">'), (5, "http://f.com/", link("mailto:x")), (6, "http://g.com/1", link("/es/1")),
+        (7, "http://h.test/", '<base href="http://i.com/en/">' + link("z")),
+    ]
+    got = {r.page_id: r.verdict for r in url_filter.filter_urls(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert got == {1: "block", 2: "block", 3: "block", 4: "block", 5: "allow", 6: "allow", 7: "block"}
