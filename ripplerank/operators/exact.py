@@ -112,12 +112,32 @@ def normalised(q: DataFrame, key: str = "source") -> DataFrame:
 def preference_ppr(g: Graph, prefs: DataFrame, c: float = TELEPORT, **how) -> DataFrame:
     """PPR of weighted mixes of sources (profile, vertex, weight): profile, vertex, score.
 
-    Unnormalised vectors mix linearly, so each source is solved once and shared by all
-    profiles; the mix is normalised last, which leads dangling mass back to the mix.
+    Each profile is one vector that starts from its weighted mix, which where the graph is small costs one
+    solve a profile; otherwise each source is solved once and the vectors, which mix linearly,
+    are summed. The mix is normalised last, which leads dangling mass back to the mix.
     """
-    q = power_iteration(g, prefs, c, dangling="absorb", **how)
     total = prefs.groupBy("profile").agg(F.sum("weight").alias("t"))
     w = prefs.join(total, "profile").select("profile", F.col("vertex").cast("long").alias("source"), (F.col("weight") / F.col("t")).alias("w"))
+    if pick_mode(g, how.get("mode", "auto")) == "broadcast":
+        from .kernel import power
+
+        shared, tol, laps = g.shared(), how.get("tol", 1e-10), how.get("max_iter", 200)
+        kind = prefs.schema["profile"].dataType
+        starts = w.join(known(g, prefs).withColumnRenamed("vertex", "source"), "source", "left_semi").groupBy("profile", "source").agg(F.sum("w").alias("w"))
+        starts = starts.groupBy("profile").agg(F.collect_list(F.struct("source", "w")).alias("mix"))
+
+        def run(batches):
+            local = shared.value
+            for batch in batches:
+                for profile, mix in zip(batch.column("profile"), batch.column("mix")):
+                    at, weight = (mix.values.field(c).to_numpy() for c in ("source", "w"))
+                    p = power(local, local.find(at), weight, c, tol, laps, False)
+                    found = np.flatnonzero(p)
+                    names = pa.array([profile.as_py()] * len(found), profile.type)
+                    yield pa.RecordBatch.from_arrays([names, pa.array(local.ids[found]), pa.array(p[found])], ["profile", "vertex", "score"])
+
+        return normalised(starts.repartition("profile").mapInArrow(run, f"profile {kind.simpleString()}, vertex bigint, score double"), "profile")
+    q = power_iteration(g, prefs, c, dangling="absorb", **how)
     mixed = q.join(w, "source").groupBy("profile", "vertex").agg(F.sum(F.col("score") * F.col("w")).alias("score"))
     return normalised(mixed, "profile")
 

@@ -153,8 +153,18 @@ _PREFS = f"prefs as (select r.c_mktsegment as profile, o_custkey + {K} as vertex
         join p_exact x on x.query = r.vertex group by profile, x.vertex)""",
     select=f"select profile, vertex, {O.rounded('score / sum(score) over (partition by profile)')} as score from mix"))
 def _(s, d):
-    """One profile for each market segment, weighing its first customers by their orders."""
-    o = E.table(s, d, "orders").where("o_custkey < 30").join(E.table(s, d, "customer").withColumnRenamed("c_custkey", "o_custkey"), "o_custkey")
+    """One profile for each market segment, weighing its first customers by their orders, as the SQL does."""
+    return _segments(s, d, "o_custkey < 30")
+
+
+@query("ppr_preference_mix_all")
+def _(s, d):
+    """One profile for each market segment, weighing all its customers by their orders."""
+    return _segments(s, d)
+
+
+def _segments(s, d, where="true"):
+    o = E.table(s, d, "orders").where(where).join(E.table(s, d, "customer").withColumnRenamed("c_custkey", "o_custkey"), "o_custkey")
     prefs = o.groupBy(F.col("c_mktsegment").alias("profile"), E.vertex("customer", "o_custkey").alias("vertex")).agg(F.count("*").cast("double").alias("weight"))
     return exact.preference_ppr(graph(s, d, "cust_part"), cut(prefs, "prefs"), tol=0.0, max_iter=20).select("profile", "vertex", tidy("score"))
 
@@ -673,9 +683,19 @@ def _(s, d):
 @query("stream_query_batches", _batch_sql(
     "cust_part", 1, 0, q=f"select distinct user_id + {K} as query from events where event_id < 200", tail=(O.ranked("ans", "r"),), select=_TOP))
 def _(s, d):
+    return _answered(s, d, "request_id < 200")
+
+
+@query("stream_query_batches_all")
+def _(s, d):
+    """Answers to every request of the stream."""
+    return _answered(s, d)
+
+
+def _answered(s, d, where="true"):
     g = graph(s, d, "cust_part")
     path = shared_path(s, "answers")
-    buffer.answer_batches(g, None, buffer.query_events(s, d).where("request_id < 200"), path, laps=1).awaitTermination()
+    buffer.answer_batches(g, None, buffer.query_events(s, d).where(where), path, laps=1).awaitTermination()
     return _top(s.read.parquet(f"{path}/batch=*"))
 
 

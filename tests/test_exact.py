@@ -1,4 +1,5 @@
 import numpy as np
+from pyspark.sql import functions as F
 import pytest
 
 from ripplerank.operators import exact
@@ -56,3 +57,19 @@ def test_preferences_mix_linearly(spark):
     mix = 0.75 * q[at(a)] + 0.25 * q[at(b)]
     want = {("x", int(v)): s / mix.sum() for v, s in zip(ids, mix) if s > 0} | {("only", int(v)): s / q[at(a)].sum() for v, s in zip(ids, q[at(a)]) if s > 0}
     assert close(got, want)
+
+
+def test_profiles_and_streams_take_whole_tables(spark):
+    from ripplerank.plans import catalogue
+
+    d = "/root/testdata/sf0.001"
+    got = catalogue.QUERIES["ppr_preference_mix_all"](spark, d).collect()
+    customers = spark.read.parquet(f"{d}/customer.parquet")
+    orders = spark.read.parquet(f"{d}/orders.parquet").join(customers, F.col("o_custkey") == F.col("c_custkey")).collect()
+    prefs = [(r.c_mktsegment, r.o_custkey + catalogue.K, 1.0) for r in orders]
+    g = catalogue.graph(spark, d, "cust_part")
+    want = exact.preference_ppr(g, spark.createDataFrame(prefs, "profile string, vertex long, weight double"), tol=0.0, max_iter=20, mode="shuffle").collect()
+    a, b = ({(r.profile, r.vertex): r.score for r in x} for x in (got, want))
+    assert a.keys() == b.keys() and all(abs(a[k] - b[k]) < 1e-8 for k in a)
+    asked = spark.read.parquet(f"{d}/events.parquet").select((F.col("user_id") + catalogue.K).alias("query")).distinct().join(g.vertices.withColumnRenamed("vertex", "query"), "query", "left_semi")
+    assert {r.query for r in catalogue.QUERIES["stream_query_batches_all"](spark, d).select("query").distinct().collect()} == {r.query for r in asked.collect()}
