@@ -56,18 +56,19 @@ def _hash_long(value: np.ndarray, seed: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(32))
 
 
-def draw_arrays(rng: str, seed: int, source: np.ndarray, walk: np.ndarray, step: int) -> tuple[np.ndarray, np.ndarray]:
-    """The same draws for arrays of sources and walks."""
+def draw_arrays(rng: str, seed: int, source: np.ndarray, walk: np.ndarray, step: int, vertex: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """The same draws for arrays of sources and walks; those of compressed walks also depend on the vertex."""
     if rng == "md5":
         out = np.empty((2, len(source)), np.int64)
-        for n, (s, w) in enumerate(zip(source.tolist(), walk.tolist())):
-            h = hashlib.md5(f"{seed}|{s}|{w}|{step}".encode()).digest()
+        tails = [f"{step}"] * len(source) if vertex is None else [f"{step}|{v}" for v in vertex.tolist()]
+        for n, (s, w, t) in enumerate(zip(source.tolist(), walk.tolist(), tails)):
+            h = hashlib.md5(f"{seed}|{s}|{w}|{t}".encode()).digest()
             out[0, n], out[1, n] = int.from_bytes(h[:4], "big"), int.from_bytes(h[4:8], "big")
         return out[0], out[1]
     if rng == "xxhash64":
         with np.errstate(over="ignore"):
             h = np.full(len(source), 42, np.uint64)
-            for part in (np.full(len(source), seed), source, walk, np.full(len(source), step)):
+            for part in (np.full(len(source), seed), source, walk, np.full(len(source), step), *(() if vertex is None else (vertex,))):
                 h = _hash_long(part.astype(np.int64).view(np.uint64), h)
         return (h >> np.uint64(32)).astype(np.int64), (h & np.uint64(SPAN - 1)).astype(np.int64)
     raise ValueError(f"unknown generator {rng!r}")

@@ -15,13 +15,17 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.bounds import TELEPORT, laps_for_residual
-from ..functions.lineage import cut
+from ..functions.lineage import cut, release
 from .exact import known, normalised, pick_mode
 from .graph import Graph
-from .index import index_entries
 
-#: Bytes of index arrays (12 an entry) that tasks may hold.
-INDEX_BYTES = 512 << 20
+#: Bytes of index arrays that the driver and each task may hold, and of one entry in them.
+INDEX_BYTES, ENTRY_BYTES = 512 << 20, 16
+#: Cells of the dense answers that a task works on together.
+BLOCK_CELLS = 1 << 22
+#: Queries that share a frontier vertex from which on its stored vector is sent to them; as many vertices at most are (the
+#: others then hold under a 200th of the frontier each).
+HOT_ROWS, HOT_VERTICES = 50_000, 200
 ANSWER = "query bigint, vertex bigint, score double"
 
 
@@ -40,10 +44,22 @@ def seeds(g: Graph, queries: DataFrame) -> DataFrame:
     return q.select(F.col("vertex").alias("query"), "vertex", F.lit(1.0).alias("mass"))
 
 
+def prepare(g: Graph, mode: str = "auto") -> None:
+    """Make the tables that every batch over `g` reads."""
+    g.vertices
+    if pick_mode(g, mode) == "broadcast":
+        g.shared()
+    else:
+        g.push_edges
+
+
 def push(g: Graph, frontier: DataFrame, c: float = TELEPORT) -> DataFrame:
-    """One lap: every vertex hands (1-c) of its mass to its out-neighbours. Dangling vertices hand on nothing."""
+    """One lap: every vertex hands (1-c) of its mass to its out-neighbours. Dangling vertices hand on nothing.
+
+    The frontier is moved to the edges' buckets and the sums to their pairs; the edges are not moved.
+    """
     return (
-        frontier.join(g.push_edges.withColumnRenamed("src", "vertex"), "vertex")
+        g.pushed(frontier)
         .select("query", F.col("dst").alias("vertex"), (F.col("mass") * F.col("share") * (1 - c)).alias("mass"))
         .groupBy("query", "vertex").agg(F.sum("mass").alias("mass"))
     )
@@ -82,12 +98,21 @@ def frontier_vectors(
     return Frontier(settled, f, dropped, done)
 
 
-def close(frontier: DataFrame, idx: DataFrame, c: float = TELEPORT) -> DataFrame:
-    """Frontier mass spread by the stored vectors of its vertices: each stored row is read once for the whole batch."""
+def close(frontier: DataFrame, idx: DataFrame, c: float = TELEPORT, hot_rows: int = HOT_ROWS) -> DataFrame:
+    """Frontier mass spread by the stored vectors of its vertices: each stored row is read once for the whole batch.
+
+    An index in buckets by source is not moved; the frontier goes to its buckets. Vertices that over `hot_rows` queries share
+    are left out of that join: the vectors of the hottest are sent to the frontier instead, which stays spread as it is.
+    """
     stored = idx.select(F.col("source").alias("vertex"), "walks", "entries")
-    return frontier.join(stored, "vertex").select("query", (F.col("mass") * c / F.col("walks")).alias("w"), F.inline("entries")).select(
-        "query", "vertex", (F.col("w") * F.col("visits")).alias("mass")
-    )
+    spread = ["query", (F.col("mass") * c / F.col("walks")).alias("w"), F.inline("entries")]
+    done = ["query", "vertex", (F.col("w") * F.col("visits")).alias("mass")]
+    hot = [r[0] for r in frontier.groupBy("vertex").count().where(F.col("count") > hot_rows).orderBy(F.desc("count")).limit(HOT_VERTICES).collect()]
+    if not hot:
+        return frontier.join(stored, "vertex").select(*spread).select(*done)
+    held = F.broadcast(stored.where(F.col("vertex").isin(hot)))
+    cold = frontier.where(~F.col("vertex").isin(hot)).join(stored, "vertex").select(*spread)
+    return cold.unionByName(frontier.where(F.col("vertex").isin(hot)).join(held, "vertex").select(*spread)).select(*done)
 
 
 def combine(settled: DataFrame, closed: DataFrame | None, normalise: bool) -> DataFrame:
@@ -122,20 +147,49 @@ def batch_ppr(
 
 def _index_fits(idx: DataFrame) -> bool:
     n = idx.agg(F.sum(F.size("entries"))).first()[0] or 0
-    return 12 * n <= INDEX_BYTES
+    return ENTRY_BYTES * n <= INDEX_BYTES
 
 
 def share_index(g: Graph, idx: DataFrame):
-    """The index as broadcast arrays beside the graph's, after a check of its size: first, vertex, weight of each position."""
+    """The index as broadcast arrays beside the graph's, after a check of their size: first, vertex, weight of each position.
+
+    Rows arrive whole and one partition at a time, so the driver holds the arrays and one partition's rows.
+    """
     if not _index_fits(idx):
         raise ValueError("the index exceeds the broadcast budget")
     local = g._local
-    t = index_entries(idx).select("source", "vertex", (F.col("visits") / F.col("walks")).alias("w")).toArrow()
-    source, vertex = local.find(t["source"].to_numpy()), local.find(t["vertex"].to_numpy())
-    order = np.argsort(source, kind="stable")
+
+    def positions(batches):
+        own = shared.value
+        for b in batches:
+            lists = b.column("entries")
+            yield pa.RecordBatch.from_arrays([
+                pa.array(own.find(b.column("source").to_numpy())), pa.array(np.diff(lists.offsets.to_numpy()).astype(np.int64)), b.column("walks").cast(pa.float64()),
+                pa.array([own.find(x).astype("<i4").tobytes() for x in _runs(lists, "vertex")], pa.binary()), pa.array([x.astype("<i4").tobytes() for x in _runs(lists, "visits")], pa.binary()),
+            ], ["at", "n", "walks", "to", "visits"])
+
+    shared = g.shared()
+    rows = idx.select("source", "walks", "entries").mapInArrow(positions, "at bigint, n bigint, walks double, to binary, visits binary")
+    size = np.zeros(len(local.ids), np.int64)
+    held = cut(rows, "positions")
+    for at, n in ((r["at"], r["n"]) for r in held.select("at", "n").toLocalIterator()):
+        size[at] += n
     first = np.zeros(len(local.ids) + 1, np.int64)
-    np.cumsum(np.bincount(source, minlength=len(local.ids)), out=first[1:])
-    return g.spark.sparkContext.broadcast((first, vertex[order].astype(np.int32), t["w"].to_numpy()[order].astype(np.float64)))
+    np.cumsum(size, out=first[1:])
+    vertex, weight, next_ = np.zeros(int(first[-1]), np.intp), np.zeros(int(first[-1])), first[:-1].copy()
+    for r in held.toLocalIterator():
+        a = next_[r["at"]]
+        vertex[a : a + r["n"]] = np.frombuffer(r["to"], "<i4")
+        weight[a : a + r["n"]] = np.frombuffer(r["visits"], "<i4") / r["walks"]
+        next_[r["at"]] += r["n"]
+    release(held)
+    return g.spark.sparkContext.broadcast((first, vertex, weight))
+
+
+def _runs(lists: pa.ListArray, field: str):
+    """Values of one field of each list."""
+    at, values = lists.offsets.to_numpy(), lists.values.field(field).to_numpy()
+    return (values[a:b] for a, b in zip(at[:-1], at[1:]))
 
 
 def _local_answers(g, idx, queries, laps, c, eps, k, normalise, residual) -> DataFrame:
@@ -145,26 +199,25 @@ def _local_answers(g, idx, queries, laps, c, eps, k, normalise, residual) -> Dat
         laps = max(laps, laps_for_residual(residual, c))
 
     def run(batches):
-        from .kernel import laps as go
+        from .kernel import close_block, laps_block
 
         local = shared.value
         n = len(local.ids)
+        block = max(1, min(256, BLOCK_CELLS // max(1, n)))
         for batch in batches:
-            for query in batch.column(0).to_numpy():
-                settled, at, mass, _, _ = go(local, int(local.find(np.array([query]))[0]), laps, c, eps, residual)
-                if stored is not None and len(at):
-                    first, vertex, weight = stored.value
-                    size = first[at + 1] - first[at]
-                    begin = np.cumsum(size) - size
-                    spots = np.arange(int(size.sum())) + np.repeat(first[at] - begin, size)
-                    settled += np.bincount(vertex[spots], weight[spots] * np.repeat(c * mass, size), n)
-                if normalise and (total := settled.sum()) > 0:
-                    settled /= total
-                hit = np.flatnonzero(settled)
-                if k is not None and len(hit) > k:  # all that can be among the k best once rounded
-                    least = -np.partition(-settled[hit], k - 1)[k - 1]
-                    hit = hit[settled[hit] >= least - 1e-9]
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(hit), query)), pa.array(local.ids[hit]), pa.array(settled[hit])], ["query", "vertex", "score"])
+            every = batch.column(0).to_numpy()
+            for part in np.split(every, range(block, len(every), block)):
+                settled, row, at, mass = laps_block(local, local.find(part), laps, c, eps, residual)
+                if stored is not None:
+                    close_block(settled, row, at, mass * c, *stored.value)
+                for query, x in zip(part, settled):
+                    if normalise and (total := x.sum()) > 0:
+                        x /= total
+                    hit = np.flatnonzero(x)
+                    if k is not None and len(hit) > k:  # all that can be among the k best once rounded
+                        least = -np.partition(-x[hit], k - 1)[k - 1]
+                        hit = hit[x[hit] >= least - 1e-9]
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(hit), query)), pa.array(local.ids[hit]), pa.array(x[hit])], ["query", "vertex", "score"])
 
     q = known(g, queries, "query").select(F.col("vertex").alias("query"))
     n = q.count()
@@ -190,8 +243,7 @@ def path_rows(g: Graph, queries: DataFrame, laps: int, c: float = TELEPORT) -> l
     levels = [cut(seeds(g, queries), "paths")]
     for _ in range(laps):
         levels.append(cut(
-            levels[-1].join(g.push_edges.withColumnRenamed("src", "vertex"), "vertex")
-            .select("query", F.col("dst").alias("vertex"), (F.col("mass") * F.col("share") * (1 - c)).alias("mass")), "paths",
+            g.pushed(levels[-1]).select("query", F.col("dst").alias("vertex"), (F.col("mass") * F.col("share") * (1 - c)).alias("mass")), "paths",
         ))
     return levels
 

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.bounds import TELEPORT
-from ..functions.lineage import cut
+from ..functions.lineage import cut, release
 from .graph import Graph
 
 PPR = "source bigint, vertex bigint, score double"
@@ -55,9 +55,7 @@ def power_iteration(
     p = unit
     loose = g.vertices.where("out_deg = 0").select("vertex")
     for _ in range(max_iter):
-        pushed = p.join(g.push_edges.withColumnRenamed("src", "vertex"), "vertex").select(
-            "source", F.col("dst").alias("vertex"), (F.col("score") * F.col("share") * (1 - c)).alias("score")
-        )
+        pushed = g.pushed(p).select("source", F.col("dst").alias("vertex"), (F.col("score") * F.col("share") * (1 - c)).alias("score"))
         parts = pushed.unionByName(unit.withColumn("score", F.lit(c)))
         if dangling == "to_source":
             parts = parts.unionByName(p.join(loose, "vertex", "left_semi").select("source", F.col("source").alias("vertex"), ((1 - c) * F.col("score")).alias("score")))
@@ -65,8 +63,11 @@ def power_iteration(
         moved = after.join(p.withColumnRenamed("score", "old"), ["source", "vertex"], "full_outer").groupBy("source").agg(
             F.sum(F.abs(F.coalesce("score", F.lit(0.0)) - F.coalesce("old", F.lit(0.0)))).alias("d")
         )
+        still = tol > 0 and (moved.agg(F.max("d")).first()[0] or 0.0) <= tol
+        if p is not unit:
+            release(p)
         p = after
-        if (moved.agg(F.max("d")).first()[0] or 0.0) <= tol:
+        if still:
             break
     return p.select("source", "vertex", "score")
 
@@ -88,16 +89,18 @@ def global_pagerank(g: Graph, c: float = TELEPORT, tol: float = 1e-10, max_iter:
                     yield pa.RecordBatch.from_arrays([pa.array(local.ids), pa.array(p)], ["vertex", "score"])
 
         return g.spark.range(1, numPartitions=1).mapInArrow(run, "vertex bigint, score double")
-    p = g.vertices.select("vertex", "out_deg", F.lit(1.0 / max(1, n)).alias("score"))
+    p, last = g.vertices.select("vertex", "out_deg", F.lit(1.0 / max(1, n)).alias("score")), None
     for _ in range(max_iter):
         lost = p.where("out_deg = 0").agg(F.sum("score")).first()[0] or 0.0
         base = (c + (1 - c) * lost) / max(1, n)
-        pushed = p.join(g.push_edges.withColumnRenamed("src", "vertex"), "vertex").groupBy(F.col("dst").alias("vertex")).agg(F.sum(F.col("score") * F.col("share")).alias("m"))
+        pushed = g.pushed(p).groupBy(F.col("dst").alias("vertex")).agg(F.sum(F.col("score") * F.col("share")).alias("m"))
         after = cut(
-            p.join(pushed, "vertex", "left").select("vertex", "out_deg", F.col("score").alias("old"), (F.lit(base) + (1 - c) * F.coalesce("m", F.lit(0.0))).alias("score")), "pagerank"
+            p.join(pushed, "vertex", "left").select("vertex", "out_deg", F.col("score").alias("old"), (F.lit(base) + (1 - c) * F.coalesce("m", F.lit(0.0))).alias("score")), "pagerank",
+            {"change": F.sum(F.abs(F.col("score") - F.col("old")))},
         )
-        change = after.agg(F.sum(F.abs(F.col("score") - F.col("old")))).first()[0] or 0.0
-        p = after.drop("old")
+        change = after.facts["change"] or 0.0
+        release(last)
+        last, p = after, after.drop("old")
         if change <= tol:
             break
     return p.select("vertex", "score")
@@ -159,7 +162,7 @@ def ppr_residual(g: Graph, ppr: DataFrame, c: float = TELEPORT) -> DataFrame:
     unit = ppr.select("source").distinct()
     loose = g.vertices.where("out_deg = 0").select("vertex")
     right = (
-        ppr.join(g.push_edges.withColumnRenamed("src", "vertex"), "vertex").select("source", F.col("dst").alias("vertex"), ((1 - c) * F.col("score") * F.col("share")).alias("r"))
+        g.pushed(ppr).select("source", F.col("dst").alias("vertex"), ((1 - c) * F.col("score") * F.col("share")).alias("r"))
         .unionByName(ppr.join(loose, "vertex", "left_semi").select("source", F.col("source").alias("vertex"), ((1 - c) * F.col("score")).alias("r")))
         .unionByName(unit.select("source", F.col("source").alias("vertex"), F.lit(c).alias("r")))
         .unionByName(ppr.select("source", "vertex", (-F.col("score")).alias("r")))

@@ -9,12 +9,14 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.lineage import cut
+from ..functions.lineage import bucket_count, bucketed, cut
 
 #: Bytes of neighbour lists up to which a graph counts as fitting one machine.
 LOCAL_BYTES = 256 << 20
 #: Out-degree from which a vertex's edges are ranked in blocks.
 HUB_DEGREE = 1_000_000
+#: Edges of one vertex that a push keeps in one task; a vertex of more is dealt over several.
+PUSH_EDGES = 1_000_000
 
 
 @dataclass(frozen=True)
@@ -40,9 +42,10 @@ class LocalGraph:
 class Graph:
     """A directed graph. `edges` (src, dst) is a set without nulls; everything else derives from it, lazily and once."""
 
-    def __init__(self, edges: DataFrame):
+    def __init__(self, edges: DataFrame, push_limit: int = PUSH_EDGES):
         self.edges = edges
         self.spark = edges.sparkSession
+        self.push_limit = push_limit
 
     @cached_property
     def vertices(self) -> DataFrame:
@@ -56,19 +59,49 @@ class Graph:
     def adjacency(self) -> DataFrame:
         """src, pos, dst, dst_deg: pos is the rank of dst among src's neighbours.
 
-        One equi-join on (src, pos) both picks a neighbour and brings its degree. Hubs are
-        ranked within hash-free value blocks whose offsets are added, so that no task sorts
-        all edges of one vertex.
+        One equi-join on (src, pos) both picks a neighbour and brings its degree. The table is
+        hashed once into buckets of (src, pos), so a step moves walkers only, and those that stand at
+        a hub spread over its positions. Hubs are ranked within value blocks whose offsets
+        are added, so that no task sorts all edges of one vertex.
         """
         ranked = adjacency_of(self)
         deg = self.vertices.select(F.col("vertex").alias("dst"), F.col("out_deg").alias("dst_deg"))
-        return cut(ranked.join(deg, "dst").select("src", "pos", "dst", "dst_deg"), "adjacency")
+        return bucketed(ranked.join(deg, "dst").select("src", "pos", "dst", "dst_deg"), "adjacency", ["src", "pos"], self.buckets)
+
+    @cached_property
+    def buckets(self) -> int:
+        return bucket_count(self.spark, self.size[1])
+
+    @cached_property
+    def hubs(self) -> DataFrame | None:
+        """vertex, salts: vertices whose edges a push deals over `salts` tasks; None where there are none."""
+        found = cut(self.vertices.where(F.col("out_deg") > self.push_limit).select("vertex", F.ceil(F.col("out_deg") / F.lit(self.push_limit)).cast("int").alias("salts")), "hubs")
+        return None if found.isEmpty() else found
 
     @cached_property
     def push_edges(self) -> DataFrame:
-        """src, dst, share = 1 / out-degree of src: what a lap joins with."""
+        """src, (salt,) dst, share = 1 / out-degree of src: what a lap joins with, hashed once into buckets by src, and by salt where there are hubs."""
         deg = self.vertices.select(F.col("vertex").alias("src"), "out_deg")
-        return cut(self.edges.join(deg, "src").select("src", "dst", (1.0 / F.col("out_deg")).alias("share")), "push")
+        rows = self.edges.join(deg, "src")
+        share = (1.0 / F.col("out_deg")).alias("share")
+        if self.hubs is None:
+            return bucketed(rows.select("src", "dst", share), "push", ["src"], self.buckets)
+        salts = F.ceil(F.col("out_deg") / F.lit(self.push_limit)).cast("int")
+        salt = F.when(F.col("out_deg") > self.push_limit, F.pmod(F.hash("dst"), salts)).otherwise(0).alias("salt")
+        return bucketed(rows.select("src", salt, "dst", share), "push", ["src", "salt"], self.buckets)
+
+    def pushed(self, at: DataFrame) -> DataFrame:
+        """Rows of `at` (column vertex) beside the edges that leave there: adds dst and share.
+
+        The edges stay where they lie: only `at` is moved, or sent whole where it is small. A hub's edges lie in several
+        tasks, and its rows of `at` go to each of them.
+        """
+        edges = self.push_edges.withColumnRenamed("src", "vertex")
+        if self.hubs is None:
+            return at.join(edges, "vertex")
+        salts = F.sequence(F.lit(0), F.coalesce(F.col("salts"), F.lit(1)) - 1)
+        dealt = at.join(self.hubs, "vertex", "left").select(*at.columns, F.explode(salts).alias("salt"))
+        return dealt.join(edges, ["vertex", "salt"]).drop("salt")
 
     @cached_property
     def size(self) -> tuple[int, int]:
@@ -119,14 +152,17 @@ def adjacency_of(g: Graph, hub_degree: int = HUB_DEGREE, blocks: int = 256) -> D
     return dealt.withColumn("r", F.row_number().over(within) - 1).join(starts, ["src", "block"]).select("src", (F.col("start") + F.col("r")).alias("pos"), "dst")
 
 
-def build_graph(edges: DataFrame, symmetric: bool = False, drop_loops: bool = False) -> Graph:
-    """Edges (src, dst) as a set: nulls and repeats go, reversed edges and loops as asked. Other columns are ignored."""
+def build_graph(edges: DataFrame, symmetric: bool = False, drop_loops: bool = False, push_limit: int = PUSH_EDGES) -> Graph:
+    """Edges (src, dst) as a set: nulls and repeats go, reversed edges and loops as asked. Other columns are ignored.
+
+    A vertex of more than `push_limit` out-edges is a hub, whose edges a push deals over several tasks.
+    """
     e = edges.select(F.col("src").cast("long").alias("src"), F.col("dst").cast("long").alias("dst")).where("src is not null and dst is not null")
     if symmetric:
         e = e.unionByName(e.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
     if drop_loops:
         e = e.where("src <> dst")
-    return Graph(cut(e.distinct(), "edges"))
+    return Graph(cut(e.distinct(), "edges"), push_limit)
 
 
 def degrees(g: Graph) -> DataFrame:

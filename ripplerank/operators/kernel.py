@@ -11,6 +11,8 @@ from .graph import LocalGraph
 
 #: Walks advanced together: bounds a task's scratch memory.
 WALKERS = 200_000
+#: Edges that a block of queries follows together.
+EDGES = 2_000_000
 
 
 def walk(
@@ -53,43 +55,80 @@ def walk_counts(g: LocalGraph, starts: np.ndarray, *how) -> tuple[np.ndarray, np
     return keys // n, keys % n, visits, out
 
 
-def lap(g: LocalGraph, at: np.ndarray, mass: np.ndarray, c: float, work: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Push mass along out-edges: positions and masses after one lap. `work` is a zero vector, left zero."""
-    deg = g.degree[at]
-    on = deg > 0
-    at, deg = at[on], deg[on]
-    share = mass[on] * ((1 - c) / deg)
-    total = int(deg.sum())
-    if not total:
-        return np.zeros(0, np.int64), np.zeros(0)
-    begin = np.cumsum(deg) - deg
-    to = g.dst[np.arange(total) + np.repeat(g.first[at] - begin, deg)]
-    value = np.repeat(share, deg)
-    if total * 4 > len(work):
-        dense = np.bincount(to, value, len(work))
-        to = np.flatnonzero(dense)
-        return to, dense[to]
-    np.add.at(work, to, value)
-    to = np.unique(to)
-    out = work[to].copy()
-    work[to] = 0
-    return to, out
-
-
-def laps(g: LocalGraph, start: int, depth: int, c: float, eps: float, residual: float | None = None):
-    """Settled vector, frontier and dropped mass after `depth` laps, or as soon as the frontier holds at most `residual`."""
+def laps_block(g: LocalGraph, starts: np.ndarray, depth: int, c: float, eps: float, residual: float | None = None):
+    """Settled rows of a block of starts, and the frontier (row, position, mass) after `depth` laps.
+
+    All starts advance together over one pass of the neighbour lists a lap. With `residual`, a row whose
+    frontier holds at most that much goes no further. What falls under eps is dropped.
+    """
     n = len(g.ids)
-    work, settled = np.zeros(n), np.zeros(n)
-    at, mass, dropped, done = np.array([start]), np.array([1.0]), 0.0, 0
-    while done < depth and len(at) and (residual is None or mass.sum() > residual):
-        settled[at] += c * mass
-        at, mass = lap(g, at, mass, c, work)
+    settled = np.zeros((len(starts), n))
+    flat = settled.ravel()
+    row, at, mass = np.arange(len(starts)), starts.astype(np.int64), np.ones(len(starts))
+    rest: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+    for _ in range(depth):
+        if residual is not None:
+            over = np.bincount(row, mass, len(starts))[row] > residual
+            rest.append((row[~over], at[~over], mass[~over]))
+            row, at, mass = row[over], at[over], mass[over]
+        if not len(at):
+            break
+        flat[row * n + at] += c * mass
+        row, at, mass = _lap_block(g, row, at, mass, c, n, len(starts))
         if eps > 0:
-            low = mass < eps
-            dropped += float(mass[low].sum())
-            at, mass = at[~low], mass[~low]
-        done += 1
-    return settled, at, mass, dropped, done
+            high = mass >= eps
+            row, at, mass = row[high], at[high], mass[high]
+    rest.append((row, at, mass))
+    return settled, *(np.concatenate(x) for x in zip(*rest))
+
+
+def _lap_block(g: LocalGraph, row: np.ndarray, at: np.ndarray, mass: np.ndarray, c: float, n: int, rows: int):
+    """One lap for rows in ascending order, a bounded number of edges at a time."""
+    deg = g.degree[at]
+    on = deg > 0
+    row, at, deg, mass = row[on], at[on], deg[on], mass[on]
+    share, total = mass * ((1 - c) / np.maximum(deg, 1)), np.cumsum(deg)
+    out, begin = [], 0
+    # A run holds whole rows: their sums are final.
+    ends = np.append(np.flatnonzero(np.diff(row)) + 1, len(row)) if len(row) else np.zeros(0, int)
+    while begin < len(row):
+        limit = (total[begin - 1] if begin else 0) + EDGES
+        end = int(ends[max(np.searchsorted(total[ends - 1], limit, "right") - 1, np.searchsorted(ends, begin, "right"))])
+        part = slice(begin, end)
+        size = deg[part]
+        spots = np.arange(int(size.sum())) + np.repeat(g.first[at[part]] - (np.cumsum(size) - size), size)
+        base = int(row[begin])
+        key = g.dst[spots] + np.repeat((row[part] - base) * n, size)
+        cells = (int(row[end - 1]) - base + 1) * n
+        if len(key) * 4 > cells:
+            dense = np.bincount(key, np.repeat(share[part], size), cells)
+            to = np.flatnonzero(dense)
+            value = dense[to]
+        else:
+            to, where = np.unique(key, return_inverse=True)
+            value = np.bincount(where, np.repeat(share[part], size), len(to))
+        out.append((to // n + base, to % n, value))
+        begin = end
+    if not out:
+        return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
+    return tuple(np.concatenate(x) for x in zip(*out))
+
+
+def close_block(settled: np.ndarray, row: np.ndarray, at: np.ndarray, mass: np.ndarray, first: np.ndarray, vertex: np.ndarray, weight: np.ndarray) -> None:
+    """Add the stored vectors of frontier positions, times their mass, to the settled rows; row by row, so that sums stay in the cache."""
+    n = settled.shape[1]
+    begin = np.searchsorted(row, np.arange(len(settled) + 1)) if (np.diff(row) >= 0).all() else None
+    if begin is None:
+        order = np.argsort(row, kind="stable")
+        row, at, mass = row[order], at[order], mass[order]
+        begin = np.searchsorted(row, np.arange(len(settled) + 1))
+    for i, (a, b) in enumerate(zip(begin[:-1].tolist(), begin[1:].tolist())):
+        starts, ends = first[at[a:b]], first[at[a:b] + 1]
+        spans = [slice(x, y) for x, y in zip(starts.tolist(), ends.tolist())]
+        if spans:
+            to, w = np.concatenate([vertex[s] for s in spans]), np.concatenate([weight[s] for s in spans])
+            w *= np.repeat(mass[a:b], ends - starts)
+            settled[i] += np.bincount(to, w, n)
 
 
 def power(g: LocalGraph, start: np.ndarray, weight: np.ndarray, c: float, tol: float, most: int, to_source: bool) -> np.ndarray:

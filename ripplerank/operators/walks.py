@@ -2,22 +2,31 @@
 
 from __future__ import annotations
 
+import math
+from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.bounds import TELEPORT
-from ..functions.draws import choose, draw_columns, stop_bound
-from ..functions.lineage import cut
+from ..functions.draws import choose, draw_arrays, draw_columns, stop_bound
+from ..functions.lineage import cut, release
 from .exact import known, pick_mode
 from .graph import Graph, source_intervals
 
 SEED = 7
-#: Surviving walks below which they, not the adjacency, are moved.
-TAIL_ROWS = 100_000
+#: Surviving walks that are sent whole to the adjacency, and so few that their vertices become literals, which skip row groups.
+TAIL_ROWS, LITERAL_ROWS = 100_000, 1000
+#: Steps whose walkers are kept until their visits are counted together.
+KEPT_STEPS = 8
+#: Draws that a task of the compressed form makes at once.
+DRAWS = 1_000_000
+#: Blocks in which the walks that stand at one vertex take their turns.
+TURN_BLOCKS = 64
 VISITS = "source bigint, vertex bigint, visits bigint, ends bigint"
 
 
@@ -45,10 +54,10 @@ def simulate_walks(
     chance c; otherwise it moves to a uniform out-neighbour. At a dangling vertex it is
     absorbed, or returns to its source (`to_source`). Draws depend only on (seed, source,
     walk, step): all modes give equal counts. `broadcast`: the graph fits a machine and
-    a walk never leaves its task. `shuffle`: one exchange of survivors per step. `interval`:
+    a walk never leaves its task. `shuffle`: one exchange of survivors per step, to where the adjacency lies. `interval`:
     disjoint source ranges one after the other, each written below `path` and skipped when
     already there. `compress`: one row per (source, vertex) with a count, split by
-    multinomial draws (another random law's sample, same distribution). `auto`: by size.
+    draws that also depend on the vertex (another sample of the same law). `auto`: by size.
     Unknown sources are ignored; no sources give no rows.
     """
     s = g.vertices.select("vertex") if sources is None else known(g, sources)
@@ -58,13 +67,9 @@ def simulate_walks(
     if mode == "broadcast":
         visits = _broadcast(g, s, walks, c, seed, rng, max_steps, first_walk, dangling)
     elif mode == "shuffle":
-        laps = _laps(g, s, walks, c, seed, rng, max_steps, first_walk, dangling)
-        every = laps[0]
-        for x in laps[1:]:
-            every = every.unionByName(x)
-        visits = every.groupBy("source", F.col("v").alias("vertex")).agg(F.count("*").alias("visits"), F.sum(F.col("stop").cast("long")).alias("ends"))
+        visits = _counted(_laps(g, s, walks, c, seed, rng, max_steps, first_walk, dangling))
     elif mode == "compress":
-        visits = _compressed(g, s, walks, c, seed, max_steps, first_walk, dangling)
+        visits = _compressed(g, s, walks, c, seed, rng, max_steps, first_walk, dangling)
     else:
         raise ValueError(f"unknown mode {mode!r}")
     return Walks(visits, walks, c)
@@ -93,31 +98,61 @@ def _broadcast(g, s, walks, c, seed, rng, max_steps, first_walk, dangling) -> Da
     return _dealt(s, walks).mapInArrow(run, VISITS)
 
 
-def _laps(g, s, walks, c, seed, rng, max_steps, first_walk, dangling) -> list[DataFrame]:
+def _counted(laps: Iterator[DataFrame]) -> DataFrame:
+    """Visits and ends by (source, vertex). Every few steps are counted together, and their walkers deleted."""
+    kept: list[DataFrame] = []
+    counts: list[DataFrame] = []
+
+    def total(parts: list[DataFrame], visits: Column, ends: Column) -> DataFrame:
+        return reduce(DataFrame.unionByName, parts).groupBy("source", "vertex").agg(F.sum(visits).alias("visits"), F.sum(ends).alias("ends"))
+
+    def count(done: list[DataFrame]) -> None:
+        rows = [x.select("source", F.col("v").alias("vertex"), "stop") for x in done]
+        counts.append(cut(total(rows, F.lit(1).cast("long"), F.col("stop").cast("long")), "counts"))
+        release(*done)
+
+    for newest in laps:
+        kept.append(newest)
+        if len(kept) > KEPT_STEPS:  # the newest is still to be moved on
+            count(kept[:-1])
+            kept = kept[-1:]
+    count(kept)
+    return total(counts, F.col("visits"), F.col("ends"))
+
+
+def _laps(g, s, walks, c, seed, rng, max_steps, first_walk, dangling) -> Iterator[DataFrame]:
     """One table per step: source, walk, v, deg, sdeg, stop, pos of every walk alive at it."""
     def drawn(rows: DataFrame, step: int) -> DataFrame:
         h1, h2 = draw_columns(rng, seed, F.col("source"), F.col("walk"), F.lit(step))
-        return rows.withColumn("stop", h1 < stop_bound(c)).withColumn("pos", choose(h2, F.col("deg")))
+        rows = rows.withColumn("stop", h1 < stop_bound(c)).withColumn("pos", choose(h2, F.col("deg")))
+        return cut(rows, "walkers", {"alive": F.count(F.when(~F.col("stop"), 1))})
 
     deg = g.vertices.join(s, "vertex", "left_semi").select(F.col("vertex").alias("source"), F.col("out_deg").alias("deg"))
     numbers = F.sequence(F.lit(first_walk).cast("long"), F.lit(first_walk + walks - 1).cast("long"))
     first = deg.withColumn("walk", F.explode(numbers if walks else F.array().cast("array<bigint>"))).select("source", "walk", F.col("source").alias("v"), "deg", F.col("deg").alias("sdeg"))
-    laps = [cut(drawn(first, 0), "walkers")]
-    step = 0
-    while max_steps is None or step < max_steps:
-        alive = laps[-1].where(~F.col("stop"))
-        n = alive.count()
-        if not n:
-            break
+    now, step = drawn(first, 0), 0
+    yield now
+    while (max_steps is None or step < max_steps) and (n := now.facts.get("alive")):
+        alive = now.where(~F.col("stop"))
         mover = alive.where("deg > 0").select(F.col("v").alias("src"), "pos", "source", "walk", "sdeg")
-        if n <= TAIL_ROWS:
-            mover = F.broadcast(mover)
-        moved = g.adjacency.join(mover, ["src", "pos"]).select("source", "walk", F.col("dst").alias("v"), F.col("dst_deg").alias("deg"), "sdeg")
+        moved = _neighbours(g, mover, n).select("source", "walk", F.col("dst").alias("v"), F.col("dst_deg").alias("deg"), "sdeg")
         if dangling == "to_source":
             moved = moved.unionByName(alive.where("deg = 0").select("source", "walk", F.col("source").alias("v"), F.col("sdeg").alias("deg"), "sdeg"))
         step += 1
-        laps.append(cut(drawn(moved, step), "walkers"))
-    return laps
+        now = drawn(moved, step)
+        yield now
+
+
+def _neighbours(g: Graph, mover: DataFrame, n: int) -> DataFrame:
+    """Rows (src, pos, ...) beside the neighbour at that position: adds dst and dst_deg.
+
+    The adjacency stays in its buckets. Many walkers are moved there; of a tail of walks, all are sent to it, and the last
+    few read only the row groups that hold their vertices.
+    """
+    adjacency = g.adjacency
+    if n <= LITERAL_ROWS:
+        adjacency = adjacency.where(F.col("src").isin([r[0] for r in mover.select("src").distinct().collect()]))
+    return adjacency.join(F.broadcast(mover) if n <= TAIL_ROWS else mover, ["src", "pos"])
 
 
 def walk_paths(g: Graph, sources: DataFrame, walks: int, c: float = TELEPORT, seed: int = SEED, rng: str = "xxhash64", mode: str = "auto", **how) -> DataFrame:
@@ -125,11 +160,8 @@ def walk_paths(g: Graph, sources: DataFrame, walks: int, c: float = TELEPORT, se
     s = known(g, sources)
     options = (how.get("max_steps"), how.get("first_walk", 0), how.get("dangling", "absorb"))
     if pick_mode(g, mode) == "shuffle":
-        out = None
-        for step, rows in enumerate(_laps(g, s, walks, c, seed, rng, *options)):
-            part = rows.select("source", "walk", F.lit(step).alias("step"), F.col("v").alias("vertex"), "stop")
-            out = part if out is None else out.unionByName(part)
-        return out
+        laps = enumerate(_laps(g, s, walks, c, seed, rng, *options))
+        return reduce(DataFrame.unionByName, [rows.select("source", "walk", F.lit(step).alias("step"), F.col("v").alias("vertex"), "stop") for step, rows in laps])
     from .kernel import chunks, walk
 
     shared = g.shared()
@@ -164,68 +196,77 @@ def _by_interval(g, s, walks, c, seed, rng, max_steps, first_walk, dangling, int
     return Walks(g.spark.read.schema(schema).option("basePath", path).parquet(f"{path}/interval=*").drop("interval"), walks, c)
 
 
-def _compressed(g, s, walks, c, seed, max_steps, first_walk, dangling) -> DataFrame:
+def _split(seed: int, rng: str, c: float, step: int, first_walk: int):
+    """Batches (source, v, deg, n) of standing walks as (source, v, pos, n, stops): n of them go on to neighbour `pos`, -1 from a dangling vertex."""
+    def run(batches):
+        for batch in batches:
+            source, v, deg, n = (batch.column(x).to_numpy() for x in ("source", "v", "deg", "n"))
+            total = np.cumsum(n)
+            begin = 0
+            while begin < len(n):
+                # A run of rows within a bounded number of draws; a larger row is drawn in turns.
+                end = max(begin + 1, int(np.searchsorted(total, (total[begin - 1] if begin else 0) + DRAWS, "right")))
+                for first in range(0, int(n[begin]) if end == begin + 1 else 1, DRAWS):
+                    size = np.array([min(DRAWS, int(n[begin]) - first)]) if end == begin + 1 else n[begin:end]
+                    at = np.repeat(np.arange(begin, end), size)
+                    turn = np.arange(int(size.sum())) - np.repeat(np.cumsum(size) - size, size) + first + first_walk
+                    h1, h2 = draw_arrays(rng, seed, source[at], turn, step, v[at])
+                    stop = h1 < stop_bound(c)
+                    pos = np.where(stop, -2, np.where(deg[at] > 0, (h2 * deg[at]) >> 32, -1))
+                    order = np.lexsort((pos, at))
+                    a, p = at[order], pos[order]
+                    starts = np.flatnonzero(np.append(True, (np.diff(a) != 0) | (np.diff(p) != 0))) if len(a) else np.zeros(0, int)
+                    count, a, p = np.diff(np.append(starts, len(order))), a[starts], p[starts]
+                    yield pa.RecordBatch.from_arrays(
+                        [pa.array(source[a]), pa.array(v[a]), pa.array(p), pa.array(np.where(p == -2, 0, count)), pa.array(np.where(p == -2, count, 0))], ["source", "v", "pos", "n", "stops"]
+                    )
+                begin = end
+
+    return run
+
+
+def _compressed(g, s, walks, c, seed, rng, max_steps, first_walk, dangling) -> DataFrame:
     deg = g.vertices.join(s, "vertex", "left_semi")
     now = cut(deg.select(F.col("vertex").alias("source"), F.col("vertex").alias("v"), F.col("out_deg").alias("deg"), F.lit(walks).cast("long").alias("n")), "groups")
     degs = g.vertices.select(F.col("vertex").alias("source"), F.col("out_deg").alias("sdeg"))
     out, step = [], 0
     while True:
-        def split(batches, step=step):
-            for b in batches:
-                rows = {k: [] for k in ("source", "v", "pos", "n", "stops")}
-                for source, v, deg, n in zip(*(b.column(k).to_pylist() for k in ("source", "v", "deg", "n"))):
-                    rng = np.random.default_rng([seed, source % (1 << 63), v % (1 << 63), step, first_walk])
-                    stops = int(rng.binomial(n, c))
-                    on = n - stops
-                    pos, count = np.unique(rng.integers(0, deg, on), return_counts=True) if on and deg else (np.array([-1]), np.array([on]))
-                    for i, (p, k) in enumerate(zip(pos.tolist(), count.tolist())):
-                        for key, x in zip(rows, (source, v, p, k, stops if i == 0 else 0)):
-                            rows[key].append(x)
-                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in rows.values()], list(rows))
-
-        parts = cut(now.mapInArrow(split, "source bigint, v bigint, pos bigint, n bigint, stops bigint"), "split")
-        out.append(now.join(parts.groupBy("source", "v").agg(F.sum("stops").alias("ends")), ["source", "v"]).select("source", F.col("v").alias("vertex"), F.col("n").alias("visits"), "ends"))
-        alive = parts.where("n > 0")
-        if (max_steps is not None and step >= max_steps) or alive.isEmpty():
+        split = now.mapInArrow(_split(seed, rng, c, step, first_walk), "source bigint, v bigint, pos bigint, n bigint, stops bigint")
+        parts = cut(split.groupBy("source", "v", "pos").agg(F.sum("n").alias("n"), F.sum("stops").alias("stops")), "split", {"alive": F.sum("n")})
+        out.append(cut(parts.groupBy("source", F.col("v").alias("vertex")).agg(F.sum(F.col("n") + F.col("stops")).alias("visits"), F.sum("stops").alias("ends")), "counts"))
+        release(now)
+        if (max_steps is not None and step >= max_steps) or not parts.facts.get("alive"):
             break
+        alive = parts.where("n > 0")
         moved = alive.where("pos >= 0").withColumnRenamed("v", "src").join(g.adjacency, ["src", "pos"]).select("source", F.col("dst").alias("v"), F.col("dst_deg").alias("deg"), "n")
         if dangling == "to_source":
-            moved = moved.unionByName(alive.where("pos < 0").join(degs, "source").select("source", F.col("source").alias("v"), F.col("sdeg").alias("deg"), "n"))
+            moved = moved.unionByName(alive.where("pos = -1").join(degs, "source").select("source", F.col("source").alias("v"), F.col("sdeg").alias("deg"), "n"))
         now = cut(moved.groupBy("source", "v", "deg").agg(F.sum("n").alias("n")), "groups")
+        release(parts)
         step += 1
-    every = out[0]
-    for x in out[1:]:
-        every = every.unionByName(x)
-    return every.groupBy("source", "vertex").agg(F.sum("visits").alias("visits"), F.sum("ends").alias("ends"))
+    return reduce(DataFrame.unionByName, out).groupBy("source", "vertex").agg(F.sum("visits").alias("visits"), F.sum("ends").alias("ends"))
 
 
-def long_walk(g: Graph, sources: DataFrame, n: int, c: float = TELEPORT, seed: int = SEED, rng: str = "xxhash64") -> DataFrame:
-    """One walk of n visits per source that returns to the source with chance c after each: source, vertex, score.
+def long_walk(g: Graph, sources: DataFrame, n: int, c: float = TELEPORT, seed: int = SEED, rng: str = "xxhash64", mode: str = "auto") -> DataFrame:
+    """One walk of n visits per source that returns to the source with chance c after each, and from dangling vertices: source, vertex, score.
 
-    The steps of a walk follow each other, so only sources run in parallel: the reason why short walks replace it.
+    Between two returns it is a short walk, so it is made of the short walks of its source, one after the other, until n visits
+    are counted; any graph and any n will do, as stretches are walked side by side.
     """
-    shared = g.shared()
-
-    def run(batches):
-        from ..functions.draws import draw_arrays
-
-        local = shared.value
-        for batch in batches:
-            for source in batch.column(0).to_numpy():
-                start = int(local.find(np.array([source]))[0])
-                seen = np.zeros(len(local.ids), np.int64)
-                v, bound = start, stop_bound(c)
-                for a in range(0, n, 1 << 16):
-                    k = min(n - a, 1 << 16)
-                    h1, h2 = draw_arrays(rng, seed, np.full(k, source), np.arange(a, a + k), 0)
-                    for stop, h in zip((h1 < bound).tolist(), h2.tolist()):
-                        seen[v] += 1
-                        deg = int(local.degree[v])
-                        v = start if stop or not deg else int(local.dst[local.first[v] + (h * deg >> 32)])
-                at = np.flatnonzero(seen)
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), source)), pa.array(local.ids[at]), pa.array(seen[at] / n)], ["source", "vertex", "score"])
-
-    return known(g, sources).repartition(64, "vertex").mapInArrow(run, "source bigint, vertex bigint, score double")
+    s = cut(known(g, sources), "sources")
+    walks = int(n * c + 4 * math.sqrt(n * c) + 16)  # stretches are at most 1/c visits long in the mean
+    while True:
+        paths = cut(walk_paths(g, s, walks, c, seed, rng, mode), "stretches")
+        before = F.sum("moves").over(Window.partitionBy("source").orderBy("walk").rowsBetween(Window.unboundedPreceding, -1))
+        lengths = paths.groupBy("source", "walk").agg(F.count("*").alias("moves"))
+        short = lengths.groupBy("source").agg(F.sum("moves").alias("m")).agg(F.min("m")).first()[0]
+        if short is None or short >= n:
+            break
+        release(paths)
+        walks = int(walks * max(2, 1.2 * n / short))
+    starts = lengths.withColumn("before", F.coalesce(before, F.lit(0))).where(F.col("before") < n).select("source", "walk", "before")
+    within = paths.join(starts, ["source", "walk"]).where(F.col("before") + F.col("step") < n)
+    return within.groupBy("source", "vertex").agg((F.count("*") / F.lit(n)).alias("score"))
 
 
 def stored_segments(g: Graph, stock: int, length: int, seed: int = SEED, rng: str = "xxhash64", mode: str = "auto") -> DataFrame:
@@ -235,30 +276,32 @@ def stored_segments(g: Graph, stock: int, length: int, seed: int = SEED, rng: st
     return paths.groupBy(F.col("source").alias("v"), F.col("walk").alias("segment")).agg(steps.alias("path"))
 
 
-def stitched_walk(g: Graph, sources: DataFrame, walks: int, segments: DataFrame, stock: int, length: int, c: float = TELEPORT, seed: int = SEED, most: int = 40) -> Walks:
+def stitched_walk(g: Graph, sources: DataFrame, walks: int, segments: DataFrame, stock: int, length: int, c: float = TELEPORT, seed: int = SEED) -> Walks:
     """Short walks put together from stored segments, each lap joined at the walks' present ends.
 
     The number of moves of a walk is drawn first. In a lap every unfinished walk takes the
     next unused segment of its vertex; once a vertex's stock is used up it is dealt again
-    from the start. Many laps of random access are this method's cost.
+    from the start. Every lap takes a move or ends a walk, so all are finished. Turns at a vertex are counted
+    in blocks, so that no task sorts all walks at a hub. Many laps of random access are this method's cost.
     """
     s = known(g, sources)
-    u = (F.shiftrightunsigned(F.xxhash64(F.lit(seed + 1), "source", "walk"), 11).cast("double") + 0.5) / F.lit(float(1 << 53))
+    u = (F.conv(F.substring(F.md5(F.concat_ws("|", F.lit(seed), F.lit("moves"), "source", "walk")), 1, 12), 16, 10).cast("double") + 0.5) / F.lit(float(1 << 48))
     moves = F.floor(F.log(u) / F.log(F.lit(1 - c)))
     now = s.select(F.col("vertex").alias("source"), F.explode(F.sequence(F.lit(0), F.lit(walks - 1))).alias("walk")).select("source", "walk", F.col("source").alias("v"), moves.alias("left"))
-    now = cut(now, "stitch")
+    now = cut(now, "stitch", {"todo": F.count(F.when(F.col("left") > 0, 1))})
     used = g.spark.createDataFrame([], "v long, used long")
-    visits = now.select("source", F.col("v").alias("vertex"), (F.col("left") == 0).cast("long").alias("ends"))
-    for _ in range(most):
-        todo = now.where("left > 0")
-        if todo.isEmpty():
-            break
-        turn = Window.partitionBy("v").orderBy("source", "walk")
-        asked = todo.withColumn("r", F.row_number().over(turn) - 1).join(used, "v", "left").withColumn("segment", ((F.coalesce("used", F.lit(0)) + F.col("r")) % stock).cast("long"))
+    visits = [now.select("source", F.col("v").alias("vertex"), (F.col("left") == 0).cast("long").alias("ends"))]
+    while now.facts.get("todo"):
+        todo = now.where("left > 0").withColumn("block", F.pmod(F.hash("source", "walk"), F.lit(TURN_BLOCKS)))
+        dealt = todo.withColumn("r", F.row_number().over(Window.partitionBy("v", "block").orderBy("source", "walk")) - 1)
+        before = Window.partitionBy("v").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
+        starts = todo.groupBy("v", "block").agg(F.count("*").alias("m")).select("v", "block", F.coalesce(F.sum("m").over(before), F.lit(0)).alias("start"))
+        asked = dealt.join(starts, ["v", "block"]).join(used, "v", "left").withColumn("segment", ((F.coalesce("used", F.lit(0)) + F.col("start") + F.col("r")) % stock).cast("long"))
         taken = cut(asked.join(segments, ["v", "segment"]).select("source", "walk", "v", "left", F.slice("path", F.lit(1), F.least("left", F.lit(length)).cast("int")).alias("path")), "stitch")
         whole = F.size("path") == F.least("left", F.lit(length))
-        visits = visits.unionByName(taken.select("source", F.posexplode("path").alias("i", "vertex"), "left").select("source", "vertex", (F.col("i") + 1 == F.col("left")).cast("long").alias("ends")))
+        visits.append(taken.select("source", F.posexplode("path").alias("i", "vertex"), "left").select("source", "vertex", (F.col("i") + 1 == F.col("left")).cast("long").alias("ends")))
         used = cut(taken.groupBy("v").agg(F.count("*").alias("n")).join(used, "v", "full_outer").select("v", (F.coalesce("n", F.lit(0)) + F.coalesce("used", F.lit(0))).alias("used")), "stitch")
-        now = taken.where(whole & (F.size("path") > 0)).select("source", "walk", F.element_at("path", -1).alias("v"), (F.col("left") - F.size("path")).alias("left"))
-    counts = visits.groupBy("source", "vertex").agg(F.count("*").alias("visits"), F.sum("ends").alias("ends"))
+        on = taken.where(whole & (F.size("path") > 0)).select("source", "walk", F.element_at("path", -1).alias("v"), (F.col("left") - F.size("path")).alias("left"))
+        now = cut(on, "stitch", {"todo": F.count(F.when(F.col("left") > 0, 1))})
+    counts = reduce(DataFrame.unionByName, visits).groupBy("source", "vertex").agg(F.count("*").alias("visits"), F.sum("ends").alias("ends"))
     return Walks(counts, walks, c)

@@ -9,8 +9,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from ..functions.lineage import shared_path
-from ..operators.decompose import batch_ppr
+from ..functions.lineage import scope, shared_path
+from ..operators.decompose import batch_ppr, prepare
 from ..operators.graph import Graph
 from ..sources.edges import KIND
 
@@ -59,7 +59,10 @@ def answer_batches(g: Graph, idx: DataFrame | None, requests: DataFrame, path: s
     """Answer each micro-batch as one shared batch and write it below path/batch=<id>; a replayed batch overwrites itself."""
     def answer(batch: DataFrame, number: int) -> None:
         queries = batch.select("query").distinct()
-        batch_ppr(g, idx, queries, laps, k=k, **how).write.mode("overwrite").parquet(f"{path}/batch={number}")
+        with scope():
+            batch_ppr(g, idx, queries, laps, k=k, **how).write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    prepare(g)  # outside the scopes of the batches, which delete what they make
 
     return requests.writeStream.foreachBatch(answer).option("checkpointLocation", checkpoint or shared_path(g.spark, "answers")).trigger(availableNow=True).start()
 

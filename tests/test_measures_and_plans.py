@@ -3,11 +3,12 @@ from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from ripplerank.functions import udtf
-from ripplerank.operators import baselines, decompose, evaluate, index, measures
+from ripplerank.functions.lineage import cut
+from ripplerank.operators import baselines, decompose, evaluate, index, measures, walks
 from ripplerank.operators.graph import build_graph, sample_vertices
 from ripplerank.plans import planner
 from ripplerank.sources import edges as E
-from tests.helpers import SMALL, named, queries, scores
+from tests.helpers import SMALL, close, named, queries, scores
 
 
 def vectors(spark, rows):
@@ -70,24 +71,73 @@ def test_planner(spark):
     assert planner.calibrate_depth(g, idx, q, 0.98, 20) <= 3
 
 
-def test_a_lap_shuffles_twice_and_keeps_to_the_jvm(spark):
-    g = named(spark, "basket")
-    f = decompose.seeds(g, queries(spark, 1, 2, 3))
+@pytest.fixture
+def no_broadcast(spark):
     spark.conf.set("spark.sql.autoBroadcastJoinThreshold", -1)
-    try:
-        plan = decompose.push(g, f)._jdf.queryExecution().executedPlan().toString()
-    finally:
-        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    yield
+    spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def planned(df):
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+def moved(df):
+    """What lies below each exchange of a plan: its first scan."""
+    lines = planned(df).splitlines()
+    return [next(x for x in lines[i:] if "Scan" in x or "Range" in x) for i, x in enumerate(lines) if "Exchange hashpartitioning" in x]
+
+
+@pytest.mark.parametrize("limit", [1_000_000, 20])
+def test_a_lap_moves_the_frontier_and_the_sums_but_no_edges(spark, no_broadcast, limit):
+    g = build_graph(named(spark, "basket").edges, push_limit=limit)
+    assert (g.hubs is None) == (limit > 20)
+    f = cut(decompose.seeds(g, queries(spark, 1, 2, 3)), "f")
+    lap = decompose.push(g, f)
+    plan = planned(lap)
     assert "CartesianProduct" not in plan and "NestedLoop" not in plan and "Python" not in plan and "partial_sum" in plan
-    graph_plan = g.push_edges._jdf.queryExecution().executedPlan().toString()
-    assert "Exchange" not in graph_plan  # laps start from a written table
+    assert "Bucketed: true" in plan and "SortMergeJoin" in plan
+    edges = [x for x in plan.splitlines() if "share#" in x and "Scan" in x]
+    assert len(edges) == 1 and not any("share#" in x for x in moved(lap)[1:])
+    assert plan.count("Exchange hashpartitioning") == (2 if g.hubs is None else 4)  # with hubs: their small table and the frontier beside it
+
 
+def test_a_step_moves_walkers_and_no_adjacency(spark, no_broadcast):
+    g = named(spark, "basket")
+    walkers = cut(g.adjacency.where("pos = 0").select("src", "pos", F.lit(1).alias("source")), "w")
+    step = walks._neighbours(g, walkers, walks.TAIL_ROWS + 1)
+    assert planned(step).count("Exchange hashpartitioning") == 1 and "Bucketed: true" in planned(step)
+    last = planned(walks._neighbours(g, walkers.limit(5), 5))
+    assert "PushedFilters: [IsNotNull(src), IsNotNull(pos), In(src" in last or "In(src" in last
 
-def test_lookup_prunes_partitions(spark, tmp_path):
+
+def test_closing_moves_the_frontier_and_no_index(spark, no_broadcast, tmp_path):
+    g = named(spark, "basket")
+    idx = index.build_index(g, 5, path=str(tmp_path / "i"))
+    f = cut(decompose.push(g, decompose.seeds(g, queries(spark, 1, 2, 3))), "f")
+    closed = decompose.close(f, idx)
+    assert planned(closed).count("Exchange hashpartitioning") == 1 and "Bucketed: true" in planned(closed)
+    hot = decompose.close(f, idx, hot_rows=0)
+    assert scores(hot.groupBy("query", "vertex").agg(F.sum("mass").alias("mass"))) == pytest.approx(scores(closed.groupBy("query", "vertex").agg(F.sum("mass").alias("mass"))))
+
+
+def test_hubs_are_dealt_and_pushed_whole(spark):
+    whole = named(spark, "part_supp_semi")
+    dealt = build_graph(whole.edges, push_limit=3)
+    assert dealt.hubs.count() > 0
+    assert dealt.push_edges.select("src", "dst").exceptAll(whole.push_edges.select("src", "dst")).isEmpty()
+    q = sample_vertices(whole, 3).select(F.col("vertex").alias("query"))
+    a = scores(decompose.batch_ppr(dealt, None, q, 3, mode="shuffle"))
+    assert close(a, scores(decompose.batch_ppr(whole, None, q, 3, mode="broadcast")), 1e-12)
+
+
+def test_lookup_reads_its_buckets_only(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(index, "BUCKET_ENTRIES", 100)
     g = named(spark, "basket")
-    idx = index.build_index(g, 5, path=str(tmp_path / "i"), buckets=8)
-    plan = index.lookup(idx, queries(spark, 3), 8)._jdf.queryExecution().executedPlan().toString()
-    assert "PartitionFilters: [isnotnull(bucket" in plan and "PushedFilters: [IsNotNull(source)" in plan
+    idx = index.build_index(g, 5, path=str(tmp_path / "i"))
+    found = index.lookup(idx, queries(spark, 3))
+    assert "EqualTo(source,3)" in planned(found)
+    assert found.rdd.getNumPartitions() <= 1 < idx.rdd.getNumPartitions()
 
 
 def test_top_k_is_limited_before_the_exchange(spark):

@@ -79,7 +79,7 @@ def test_long_and_stitched_walks_estimate_the_same_vector(spark):
     want = dense(g, [source])
     q = queries(spark, source)
     assert close(scores(baselines.long_walk(g, q, 40_000)), want, 0.02)
-    assert close(scores(baselines.stitching(g, q, 2000, stock=400, length=8, most=4)), want, 0.1)
+    assert close(scores(baselines.stitching(g, q, 2000, stock=400, length=8)), want, 0.1)
 
 
 def test_both_estimators_converge_and_full_paths_do_sooner(spark):
@@ -135,7 +135,7 @@ def test_closed_forms():
 def test_index_extends_merges_prunes_and_loads(spark, tmp_path):
     g = named(spark, "part_supp_semi")
     path = str(tmp_path / "index")
-    ten = index.build_index(g, 10, path=path, buckets=8)
+    ten = index.build_index(g, 10, path=path)
     full = sorted(tuple(r) for r in index.index_entries(index.build_index(g, 25)).collect())
     assert sorted(tuple(r) for r in index.index_entries(index.extend_index(ten, g, 10, 15)).collect()) == full
     both = index.merge_indexes(ten, index.build_index(g, 15, first_walk=10))
@@ -146,11 +146,12 @@ def test_index_extends_merges_prunes_and_loads(spark, tmp_path):
     pruned = index.prune_index(ten, 2).collect()
     assert all(0 <= r.pruned < 1 and all(e.visits >= 2 for e in r.entries) for r in pruned)
     few = [r[0] for r in sample_vertices(g, 3).collect()]
-    a = scores(index.lookup(ten, queries(spark, *few, -1), 8))
-    b = scores(index.lookup(ten, queries(spark, *few, -1), 8, literal=0))
+    a = scores(index.lookup(ten, queries(spark, *few, -1)))
+    b = scores(index.lookup(ten, queries(spark, *few, -1), literal=0))
     w = walks.simulate_walks(g, queries(spark, *few, column="vertex"), 10)
     assert a == b and close(a, scores(estimators.full_path_ppr(w)))
     assert index.lookup(ten, queries(spark)).count() == 0
+    assert sorted(tuple(r) for r in index.index_entries(index.load_index(spark, path)).collect()) == sorted(tuple(r) for r in index.index_entries(ten).collect())
     cached = index.cache_index(ten)
     assert cached.count() == g.size[0]
     cached.unpersist()
@@ -165,3 +166,36 @@ def test_walk_database_answers_like_fresh_walks(spark):
     assert close(scores(baselines.walk_database(paths, q)), scores(estimators.full_path_ppr(w)))
     assert close(scores(baselines.walk_database(paths, q, "end_point")), scores(estimators.end_point_ppr(w)))
     assert SMALL
+
+
+def test_long_walk_is_alike_in_all_modes_and_counts_its_visits(spark):
+    g = named(spark, "supp_chain")
+    q = sample_vertices(g, 2)
+    a = scores(walks.long_walk(g, q, 300))
+    b = scores(walks.long_walk(g, q, 300, mode="shuffle"))
+    assert close(a, b, 1e-12)
+    for source in {s for s, _ in a}:
+        assert sum(v for (s, _), v in a.items() if s == source) == pytest.approx(1)
+
+
+def test_stitched_walks_all_finish(spark):
+    g = named(spark, "supp_chain")
+    segments = walks.stored_segments(g, 10, 1)
+    w = walks.stitched_walk(g, sample_vertices(g, 2), 30, segments, 10, 1)
+    assert all(r.ends == 30 for r in w.stats.collect())
+
+
+def test_compressed_draws_do_not_depend_on_the_batch(spark, monkeypatch):
+    g = named(spark, "part_supp_semi")
+    q = sample_vertices(g, 3)
+    some = lambda: sorted(tuple(r) for r in walks.simulate_walks(g, q, 40, mode="compress", max_steps=5).visits.collect())
+    whole = some()
+    run = walks._split(7, "md5", 0.15, 0, 0)
+    import pyarrow as pa
+
+    batch = pa.RecordBatch.from_pydict({"source": [1, 2], "v": [1, 2], "deg": [5, 0], "n": [1000, 7]})
+    a = pa.Table.from_batches(run([batch])).to_pandas().groupby(["source", "pos"])[["n", "stops"]].sum()
+    monkeypatch.setattr(walks, "DRAWS", 13)
+    b = pa.Table.from_batches(run([batch])).to_pandas().groupby(["source", "pos"])[["n", "stops"]].sum()
+    assert a.equals(b) and a.n.sum() + a.stops.sum() == 1007 and set(a.loc[2].index) <= {-1, -2}
+    assert whole == some()
