@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import types as T
@@ -17,6 +18,24 @@ class IndexEntries:
             yield e["vertex"], e["visits"] / moves
 
 
+def walker(g, seed: int = 7, rng: str = "xxhash64", c: float = 0.15):
+    """A table function (source, walks) -> vertex, visits, ends over the broadcast graph, whose size is checked."""
+    shared = g.shared()
+
+    @udtf(returnType="vertex bigint, visits bigint, ends bigint")
+    class Walker:
+        def eval(self, source: int, walks: int):
+            from ripplerank.operators.kernel import walk_counts
+
+            local = shared.value
+            at = local.find(np.array([source]))
+            if at[0] >= 0:
+                _, v, visits, ends = walk_counts(local, at, walks, c, seed, rng, 0, "absorb", None)
+                yield from zip(local.ids[v].tolist(), visits.tolist(), ends.tolist())
+
+    return Walker
+
+
 @pandas_udf(T.DoubleType())
 def rag_of(p: pd.Series, exact_rank: pd.Series, approx_rank: pd.Series, k: pd.Series) -> float:
     """RAG of one group of rows (exact score, both ranks, k): a cross-check of the windowed form."""

@@ -26,7 +26,7 @@ def end_point_ppr(w: Walks) -> DataFrame:
     return w.visits.where("ends > 0").join(total, "source").select("source", "vertex", (F.col("ends") / F.col("all")).alias("score"))
 
 
-def tail_frequency(g: Graph, source: int, gamma: float, walks: int, exact: DataFrame, runs: int = 50, c: float = TELEPORT, seed: int = SEED) -> DataFrame:
+def tail_frequency(g: Graph, source: int, gamma: float, walks: int, exact: DataFrame, runs: int = 50, c: float = TELEPORT, seed: int = SEED, **how) -> DataFrame:
     """vertex, over, under, bound: how often `runs` estimates miss the exact score by gamma, beside the tail bound.
 
     All runs are one simulation whose walk numbers are cut into blocks.
@@ -34,7 +34,7 @@ def tail_frequency(g: Graph, source: int, gamma: float, walks: int, exact: DataF
     one = g.spark.createDataFrame([(source,)], "vertex long")
     from .walks import walk_paths
 
-    paths = walk_paths(g, one, walks * runs, c, seed).withColumn("run", F.floor(F.col("walk") / walks).cast("int"))
+    paths = walk_paths(g, one, walks * runs, c, seed, **how).withColumn("run", F.floor(F.col("walk") / walks).cast("int"))
     moves = paths.groupBy("run").agg(F.count("*").alias("moves"))
     est = paths.groupBy("run", "vertex").agg(F.count("*").alias("visits"))
     grid = exact.where(F.col("source") == source).select("vertex", F.col("score").alias("p")).crossJoin(moves)  # one vector x runs

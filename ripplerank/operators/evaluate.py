@@ -41,11 +41,11 @@ def rag_by_laps(g: Graph, queries: DataFrame, exact_vectors: DataFrame, rs: Iter
     """walks, laps, k, rag, queries of the decomposition; walks = 0 is index-free (from one lap on)."""
     out = None
     for r in rs:
-        idx = cut(compact(walks.simulate_walks(g, None, r, c).visits, r), "idx") if r else None
+        idx = cut(compact(walks.simulate_walks(g, None, r, c, **how).visits, r), "idx") if r else None
         for t in depths:
             if not r and not t:
                 continue
-            ppr = decompose.batch_ppr(g, idx, queries, t, c, **how)
+            ppr = decompose.batch_ppr(g, idx, queries, t, c)
             row = measures.mean_rag(measures.rag(exact_vectors, ppr, ks)).select(F.lit(r).alias("walks"), F.lit(t).alias("laps"), "k", "rag", "queries")
             out = row if out is None else out.unionByName(row)
     return out

@@ -52,6 +52,13 @@ def precision_at_k(exact: DataFrame, approx: DataFrame, k: int) -> DataFrame:
     return e.groupBy("query").agg(F.count("*").alias("n")).join(hit, "query", "left").select("query", (F.coalesce("hit", F.lit(0)) / F.col("n")).alias("precision"))
 
 
+def rank_agreement(exact: DataFrame, approx: DataFrame, k: int) -> DataFrame:
+    """query, common, rho: vertices in the top k of both, and the correlation of their ranks there."""
+    x = top_k(keyed(exact), k).select("query", "vertex", F.col("rank").alias("x"))
+    y = top_k(keyed(approx), k).select("query", "vertex", F.col("rank").alias("y"))
+    return x.join(y, ["query", "vertex"]).groupBy("query").agg(F.count("*").alias("common"), F.corr("x", "y").alias("rho"))
+
+
 def score_error(exact: DataFrame, approx: DataFrame) -> DataFrame:
     """query, max_error, l1_error, over, under: the largest overshoot and undershoot included."""
     e, a = keyed(exact).select("query", "vertex", F.col("score").alias("p")), keyed(approx).select("query", "vertex", F.col("score").alias("x"))

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -13,9 +15,18 @@ from ..operators.walks import simulate_walks
 DEPTHS = ((0, 7), (10, 5), (100, 2), (2000, 0))
 
 
+#: Walks of an online answer and the steps that they take until few are left.
+ONLINE_WALKS, ONLINE_STEPS = 2000, 40
+#: Fixed cost of a lap or step in rows, and the threshold under which frontier entries are dropped.
+LAP_ROWS, LEAST_MASS = 5e7, 1e-4
+
+
 def depth_for_walks(walks: int) -> int:
-    """Laps for an index of `walks` walks: those of the next smaller entry of the table, so accuracy is never below it."""
-    return next(t for r, t in reversed(DEPTHS) if walks >= r)
+    """Laps for an index of `walks` walks: between the table's entries in proportion to the logarithm of walks, rounded up."""
+    if walks >= DEPTHS[-1][0]:
+        return DEPTHS[-1][1]
+    (r0, t0), (r1, t1) = next((a, b) for a, b in zip(DEPTHS, DEPTHS[1:]) if a[0] <= walks < b[0])
+    return math.ceil(t0 + (t1 - t0) * math.log((1 + walks) / (1 + r0)) / math.log((1 + r1) / (1 + r0)) - 1e-9)
 
 
 def walks_for_budget(vertices: int, budget: int, bytes_per_entry: float = 12, overhead: float = 1.0, c: float = TELEPORT) -> int:
@@ -43,12 +54,13 @@ def budget_grid(g: Graph, budgets: list[int], c: float = TELEPORT) -> DataFrame:
     return g.spark.createDataFrame(rows, "budget long, walks long, laps int")
 
 
-def plan_query(queries: int, walks: int, stored_walks: int = 0, single: int = 10) -> tuple[str, int, str]:
+def plan_query(queries: int, walks: int, stored_walks: int = 0, single: int = 10, vertices: int = 0, edges: int = 0, c: float = TELEPORT) -> tuple[str, int, str]:
     """(method, laps, reason) for a batch of `queries`, given the in-memory index's walks and those of a large index on disk.
 
     A large stored index answers a handful of queries fastest, as cost there is linear in
-    queries; a batch goes to the decomposition; without any index a single query may
-    be walked online when fewer laps than the index-free depth are wanted.
+    queries; a batch goes to the decomposition. Without any index the graph's size decides, if given: settling takes few
+    laps, but each query reaches many vertices; walking takes many steps of bounded size a query, so that it wins for
+    batches that outweigh the passes over the graph.
     """
     if stored_walks >= 2000 and queries <= single:
         return "lookup", 0, "few queries: reading stored rows costs least"
@@ -56,7 +68,13 @@ def plan_query(queries: int, walks: int, stored_walks: int = 0, single: int = 10
         return "lookup", 0, "the index in memory is accurate by itself"
     if walks:
         return "decompose", depth_for_walks(walks), "a batch shares its passes over graph and index"
-    return "index_free", depth_for_walks(0), "no index: settle over more laps"
+    laps = depth_for_walks(0)
+    if vertices and edges:
+        degree = edges / vertices
+        settled = sum(min(degree ** (t + 1), edges, degree / LEAST_MASS) for t in range(laps))
+        if ONLINE_STEPS * (edges + LAP_ROWS) + queries * ONLINE_WALKS / c < laps * (edges + LAP_ROWS) + queries * settled:
+            return "walk", ONLINE_STEPS, "no index: walks of bounded size cost less than wide frontiers"
+    return "index_free", laps, "no index: settle over more laps"
 
 
 def plan_grid(spark, counts: list[int], walks: list[int], stored: list[int]) -> DataFrame:
@@ -69,7 +87,9 @@ def run_plan(g: Graph, queries: DataFrame, idx: DataFrame | None, walks: int, st
     """Answer a batch by the planned method."""
     from ..operators import baselines, decompose
 
-    method, laps, _ = plan_query(queries.count(), walks, stored_walks)
+    method, laps, _ = plan_query(queries.count(), walks, stored_walks, vertices=g.size[0], edges=g.size[1])
+    if method == "walk":
+        return baselines.online_walking(g, queries, ONLINE_WALKS)
     if method == "lookup":
         return baselines.precomputed_lookup(stored if stored is not None and stored_walks >= 2000 else idx, queries)
     return decompose.batch_ppr(g, idx if method == "decompose" else None, queries, laps, **how)

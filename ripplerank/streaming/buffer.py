@@ -35,8 +35,17 @@ def drain(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
     return spark.table(name)
 
 
+def drain_counting(df: DataFrame, name: str, mode: str = "append") -> tuple[DataFrame, int]:
+    """The same, and how many rows came too late for their window or state and were dropped."""
+    spark = df.sparkSession
+    q = df.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", shared_path(spark, f"stream-{name}")).trigger(availableNow=True).start()
+    q.awaitTermination()
+    late = sum(int(s["numRowsDroppedByWatermark"]) for p in q.recentProgress for s in p["stateOperators"])
+    return spark.table(name), late
+
+
 def windowed(requests: DataFrame, window: str = "1 day", slide: str | None = None, late: str = "1 hour") -> DataFrame:
-    """start, requests, queries (distinct, approximate) per tumbling or sliding window; late requests are dropped."""
+    """start, requests, queries (distinct, approximate) per tumbling or sliding window; late requests are dropped (drain_counting counts them)."""
     parts = F.window("ts", window, slide) if slide else F.window("ts", window)
     return requests.withWatermark("ts", late).groupBy(parts.alias("w")).agg(F.count("*").alias("requests"), F.approx_count_distinct("query").alias("queries")).select(
         F.col("w.start").alias("start"), "requests", "queries"

@@ -63,7 +63,7 @@ def test_profiles_and_streams_take_whole_tables(spark):
     from ripplerank.plans import catalogue
 
     d = "/root/testdata/sf0.001"
-    got = catalogue.QUERIES["ppr_preference_mix_all"](spark, d).collect()
+    got = catalogue.QUERIES["ppr_preference_mix"](spark, d).collect()
     customers = spark.read.parquet(f"{d}/customer.parquet")
     orders = spark.read.parquet(f"{d}/orders.parquet").join(customers, F.col("o_custkey") == F.col("c_custkey")).collect()
     prefs = [(r.c_mktsegment, r.o_custkey + catalogue.K, 1.0) for r in orders]
@@ -72,4 +72,4 @@ def test_profiles_and_streams_take_whole_tables(spark):
     a, b = ({(r.profile, r.vertex): r.score for r in x} for x in (got, want))
     assert a.keys() == b.keys() and all(abs(a[k] - b[k]) < 1e-8 for k in a)
     asked = spark.read.parquet(f"{d}/events.parquet").select((F.col("user_id") + catalogue.K).alias("query")).distinct().join(g.vertices.withColumnRenamed("vertex", "query"), "query", "left_semi")
-    assert {r.query for r in catalogue.QUERIES["stream_query_batches_all"](spark, d).select("query").distinct().collect()} == {r.query for r in asked.collect()}
+    assert {r.query for r in catalogue.QUERIES["stream_query_batches"](spark, d).select("query").distinct().collect()} == {r.query for r in asked.collect()}

@@ -55,7 +55,7 @@ def test_small_changes_of_teleport_matter_little(spark):
 
 
 def test_planner(spark):
-    assert [planner.depth_for_walks(r) for r in (0, 9, 10, 99, 100, 1999, 2000)] == [7, 7, 5, 5, 2, 2, 0]
+    assert [planner.depth_for_walks(r) for r in (0, 9, 10, 99, 100, 1999, 2000)] == [7, 6, 5, 3, 2, 1, 0]  # interpolated, rounded up
     assert planner.walks_for_budget(1000, 12 * 1000 * 100) == 15 and planner.walks_for_budget(0, 5) == 0
     g = named(spark, "basket")
     budget = 12 * 200 * 150
@@ -64,6 +64,9 @@ def test_planner(spark):
     entries = index.index_stats(index.build_index(g, pilot), g, pilot).first().entries
     assert 12 * entries <= budget * 1.1
     assert planner.plan_query(1, 100, 2000)[0] == "lookup" and planner.plan_query(100_000, 100, 2000)[0] == "decompose" and planner.plan_query(5, 0)[0] == "index_free"
+    assert [planner.depth_for_walks(r) for r in (0, 3, 10, 30, 100, 500, 2000, 9999)] == [7, 6, 5, 4, 2, 1, 0, 0]
+    big = {"vertices": 133_633_040, "edges": 5_507_679_822}
+    assert planner.plan_query(100, 0, **big)[0] == "index_free" and planner.plan_query(1_000_000, 0, **big)[0] == "walk"
     q = sample_vertices(g, 3).select(F.col("vertex").alias("query"))
     idx = index.build_index(g, 100)
     assert scores(planner.run_plan(g, q, idx, 100)) == pytest.approx(scores(decompose.batch_ppr(g, idx, q, 2)))
@@ -158,3 +161,30 @@ def test_entry_and_registration(spark):
     rows = entry.entry(spark).collect()
     assert len(rows) == 100 and rows[0].__fields__ == ["query", "rank", "vertex", "score"]
     assert SMALL
+
+
+#: Queries whose filters or depth could leave them without rows.
+FILTERED = ("topk_recommend_parts", "topk_docs_quality", "topk_filtered_brand", "pair_scores", "hub_only_lookup", "dropped_mass_eps", "op_setops_topk", "op_json_graph", "dangling_part_supp", "batch_ppr_eps")
+
+
+@pytest.mark.parametrize("name", FILTERED)
+def test_no_query_is_empty(spark, name):
+    rows = entry.queries()[name](spark, "/root/testdata/sf0.01")
+    assert not rows.isEmpty()
+
+
+def test_recommended_parts_are_new_to_their_customer(spark):
+    d = "/root/testdata/sf0.001"
+    rows = entry.queries()["topk_recommend_parts"](spark, d)
+    bought = E.cust_part(spark, d).select(F.col("src").alias("query"), F.col("dst").alias("vertex"))
+    assert rows.count() == 100 and rows.join(bought, ["query", "vertex"], "left_semi").isEmpty()
+
+
+def test_late_requests_are_counted(spark, tmp_path):
+    from ripplerank.streaming import buffer
+
+    for i, day in enumerate(("2024-01-10", "2024-01-20", "2024-01-02")):
+        spark.sql(f"select timestamp'{day} 12:00:00' as ts, {i}L as request_id, 1L as query").write.parquet(str(tmp_path / f"in/{i}"))
+    stream = spark.readStream.schema("ts timestamp, request_id long, query long").option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(str(tmp_path / "in"))
+    rows, late = buffer.drain_counting(buffer.windowed(stream), "ripple_late", "update")
+    assert late == 1 and rows.count() == 2
