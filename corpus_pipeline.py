@@ -19,24 +19,25 @@ LEAST_SCORE = 0.5
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keep documents whose language is recognised; texts without letters and undecided ones go. `lang` stays as given."""
     model = lang_id.fit(lang_id.train_split(docs))
-    found = lang_id.identify(docs, model)
-    return found.where((F.col("lang_pred") != lang_id.UNKNOWN) & (F.col("score") >= LEAST_SCORE)).select(*docs.columns)
-
-
-def _keep(docs: DataFrame, marked: DataFrame) -> DataFrame:
-    """Rows of `docs` whose doc_id is marked kept; null ids are compared as equal."""
-    ids = marked.where("kept").select(F.col("doc_id").alias("__id")).distinct()
-    return docs.join(ids, docs["doc_id"].eqNullSafe(ids["__id"]), "left_semi")
+    rows, names = common.neutral(docs, "doc_id", "text")
+    found = lang_id.identify(rows, model)
+    return found.where((F.col("lang_pred") != lang_id.UNKNOWN) & (F.col("score") >= LEAST_SCORE)).select(*names).toDF(*docs.columns)
 
 
 def drop_exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of equal texts, the document with the largest doc_id stays."""
-    return _keep(docs, exact_dedup.exact_dedup(docs))
+    """Of equal texts one row stays, that of the largest doc_id: every row is decided on its own, repeated and null ids included."""
+    return exact_dedup.survivors(docs)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near-duplicates (five-word shingles, similarity 0.8 or more), the least doc_id stays."""
-    return _keep(docs, near_dedup.near_dedup(docs))
+    """Of each group of near-duplicates (five-word shingles, similarity 0.8 or more), the least doc_id stays.
+
+    Rows that share a doc_id are one document and stay or go together; rows without one link with nothing and stay.
+    """
+    ids = near_dedup.near_dedup(docs).where("kept and doc_id is not null").select(F.col("doc_id").alias("__kept")).distinct()
+    rows, names = common.neutral(docs, "doc_id", "text")
+    kept = rows.where("doc_id is not null").join(ids, F.col("doc_id") == F.col("__kept"), "left_semi")
+    return kept.unionByName(rows.where("doc_id is null")).select(*names).toDF(*docs.columns)
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
