@@ -27,6 +27,20 @@ def words_of(text: Column, separators: str) -> Column:
     return F.filter(F.split(text, separators), lambda w: w != "")
 
 
+def free_name(df: DataFrame, base: str) -> str:
+    """A column name that `df` does not have."""
+    taken = {c.lower() for c in df.columns}
+    while base.lower() in taken:
+        base += "_"
+    return base
+
+
+def neutral(df: DataFrame, *kept: str) -> tuple[DataFrame, list[str]]:
+    """`df` with all columns but `kept` named by position, so that none clashes with an operator's, and those names."""
+    names = [c if c in kept else f"__column{i}" for i, c in enumerate(df.columns)]
+    return df.toDF(*names), names
+
+
 def components(edges: DataFrame, label: str = "cc", max_rounds: int = 60) -> DataFrame:
     """Connected components of undirected edges (a, b): rows (node, component), component = least node.
 
