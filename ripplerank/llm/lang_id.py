@@ -11,6 +11,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import free_name
 from .textnum import mix, slices
 
 #: Bound of the training sample: labelled texts expected per language.
@@ -18,6 +19,8 @@ SAMPLE = 2000
 #: Hashed n-gram features per order are folded into this many cells.
 CELLS = 1 << 15
 ORDERS = (1, 2, 3)
+#: Tasks that learn.
+MOST_TASKS = 64
 UNKNOWN = "und"
 #: A best codeword ahead of the next by less than this share of certainty is flagged.
 AMBIGUOUS = 0.6
@@ -116,8 +119,10 @@ def fit(labelled: DataFrame, sample: int = SAMPLE) -> LanguageModel:
         return LanguageModel([], np.ones((0, 1), np.int8), np.zeros((CELLS, 1)), np.ones(1), np.ones(1))
     number = {x: i for i, x in enumerate(languages)}
     chance = F.element_at(F.create_map(*[F.lit(v) for x in languages for v in (x, min(1.0, sample / counts[x]))]), F.col("lang"))
-    drawn = rows.where(F.pmod(F.xxhash64(F.lit("train"), "doc_id"), F.lit(1 << 30)) < chance * (1 << 30)).select("lang", "text")
-    spread = drawn.repartition(16, F.xxhash64("text"))
+    drawn = rows.where(F.pmod(F.xxhash64(F.lit("train"), "doc_id"), F.lit(1 << 30)) < chance * (1 << 30)).select("lang", "text", F.xxhash64("doc_id", "text").alias("deal"))
+    # Each task sends one table of counts to the driver, so few tasks share the bounded sample.
+    tasks = max(8, min(MOST_TASKS, labelled.sparkSession.sparkContext.defaultParallelism))
+    spread = drawn.repartition(tasks, "deal").select("lang", "text")
 
     def tally(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         grams = np.zeros((len(languages), CELLS), np.int64)
@@ -165,18 +170,20 @@ def identify(docs: DataFrame, model: LanguageModel, ambiguous: float = AMBIGUOUS
 
     Null texts and texts without a letter are `und` with score 0, as is everything under a
     model without languages. `score` is the certainty of the loss-weighted decoding, and
-    texts below `ambiguous` are flagged. Rows stay one to one; no shuffle.
+    texts below `ambiguous` are flagged. Columns of `docs` that bear a result's name give way to it. Rows stay one to one; no shuffle.
     """
     shared = docs.sparkSession.sparkContext.broadcast(model)
+    docs = docs.drop("lang_pred", "score", "is_ambiguous")
     fields = [*docs.schema.fieldNames()]
-    marked = docs.withColumn("__letter", _letters(F.col("text")))
+    letter_name = free_name(docs, "__letter")
+    marked = docs.withColumn(letter_name, _letters(F.col("text")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
         for batch in batches:
             langs, scores = [], []
             for part, data, offsets in slices(batch, "text"):
-                letter = part.column("__letter").to_pylist()
+                letter = part.column(letter_name).to_pylist()
                 if m.languages:
                     best, sure = m.decode(m.margins(data, offsets))
                     langs += [m.languages[i] if ok else UNKNOWN for i, ok in zip(best, letter)]
