@@ -176,7 +176,7 @@ def _confirm(groups: DataFrame, docs: DataFrame, points: DataFrame, k: int, perc
     )
     wanted = rows.select("cid").distinct()
     texts = docs.select(F.col("doc_id").cast("long").alias("cid"), "text").join(wanted, "cid", "left_semi")
-    grams = _sets(texts.groupBy("cid").agg(F.min("text").alias("text")) if _repeats(docs) else texts, k)
+    grams = _sets(texts, k)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         key, ids, sets = None, [], []
@@ -203,7 +203,7 @@ def _confirm(groups: DataFrame, docs: DataFrame, points: DataFrame, k: int, perc
 
 
 def _repeats(docs: DataFrame) -> bool:
-    return not docs.groupBy("doc_id").count().where("count > 1").isEmpty()
+    return not docs.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").isEmpty()
 
 
 def near_dedup(docs: DataFrame, k: int = 5, percent: int = PERCENT, recall: float = RECALL) -> DataFrame:
@@ -214,9 +214,28 @@ def near_dedup(docs: DataFrame, k: int = 5, percent: int = PERCENT, recall: floa
     100 * intersection >= percent * union. component_id is the least doc_id reachable over links, and
     that document is kept. Null and blank texts have no shingles and link with
     nothing. Rows with a null doc_id link with nothing, have a null component and are kept.
-    Rows that repeat a doc_id are taken as one document (their texts all count towards
-    the links of that id). An empty table gives an empty result; other columns are not read.
+    Rows that repeat a doc_id are taken as one document: their texts all count towards
+    the links of that id. An empty table gives an empty result; other columns are not read.
     """
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    if not _repeats(docs):
+        return _near_unique(docs, k, percent, recall)
+    # Every (doc_id, text) is a document of its own first; the ids tie their texts together afterwards.
+    key = F.xxhash64("doc_id", F.coalesce("text", F.lit("")))
+    found = _near_unique(docs.where("doc_id is not null").select(key.alias("doc_id"), "text").groupBy("doc_id").agg(F.min("text").alias("text")), k, percent, recall)
+    found = cut(found.select(F.col("doc_id").alias("key"), "n_shingles", F.col("component_id").alias("part")), "keyed")
+    own = docs.select("doc_id", key.alias("key"))
+    parts = own.where("doc_id is not null").join(found, "key").select("doc_id", "part").distinct()
+    least = parts.groupBy("part").agg(F.min("doc_id").alias("least"))
+    ids = components(parts.join(least, "part").select(F.col("doc_id").alias("a"), F.col("least").alias("b")), "ids").withColumnRenamed("node", "doc_id")
+    sizes = docs.where("doc_id is null")
+    lone = _sketches(sizes, k).select("doc_id", F.col("n").alias("n_shingles"), F.lit(None).cast("long").alias("component_id"), F.lit(True).alias("kept"))
+    rows = own.where("doc_id is not null").join(found.select("key", "n_shingles"), "key").join(ids, "doc_id", "left")
+    component = F.coalesce("component", "doc_id")
+    return rows.select("doc_id", "n_shingles", component.alias("component_id"), (F.col("doc_id") == component).alias("kept")).unionByName(lone)
+
+
+def _near_unique(docs: DataFrame, k: int, percent: int, recall: float) -> DataFrame:
     rows = cut(_sketches(docs, k), "sketches")
     classes = cut(
         rows.where("n > 0 and doc_id is not null").groupBy("lo", "hi", "n").agg(F.min("doc_id").alias("cid"), F.first("tokens").alias("tokens")), "classes"
@@ -258,13 +277,6 @@ def near_dedup(docs: DataFrame, k: int = 5, percent: int = PERCENT, recall: floa
     joined = components(_confirm(groups, docs, points, k, percent), "cc").withColumnRenamed("node", "cid")
     # Copies meet their class by identity; the class carries its component's least document.
     named = classes.join(joined, "cid", "left").select("lo", "hi", "n", F.coalesce("component", "cid").alias("component_id"))
-    if _repeats(docs):
-        own = rows.where("n > 0 and doc_id is not null").select("doc_id", "lo", "hi", "n").join(named, ["lo", "hi", "n"]).select(
-            F.col("doc_id").alias("a"), F.col("component_id").alias("b")
-        )
-        by_id = components(own, "ids").select(F.col("node").alias("doc_id"), F.col("component").alias("component_id"))
-        out = rows.select("doc_id", "n").join(by_id, "doc_id", "left")
-    else:
-        out = rows.select("doc_id", "n", "lo", "hi").join(named, ["lo", "hi", "n"], "left")
+    out = rows.select("doc_id", "n", "lo", "hi").join(named, ["lo", "hi", "n"], "left")
     own_id = F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id"))
     return out.select("doc_id", F.col("n").alias("n_shingles"), own_id.alias("component_id"), F.col("doc_id").eqNullSafe(own_id).alias("kept"))

@@ -120,3 +120,26 @@ def test_components(spark):
     got = {r.node: r.component for r in components(spark.createDataFrame(edges, "a long, b long")).collect()}
     assert got == {**{i: 0 for i in range(41)}, 100: 100, 150: 100, 200: 100, **{j: 1000 for j in range(1000, 1100)}}
     assert components(spark.createDataFrame([], "a string, b string")).count() == 0
+
+
+def test_all_texts_of_a_repeated_id_count(spark):
+    a, b = (" ".join(f"{x}{i}" for i in range(50)) for x in "ab")
+    for first, second in ((a, b), (b, a)):
+        df = spark.createDataFrame([(7, first), (7, second), (9, b + " x"), (11, a + " x"), (12, "far away from all of it"), (None, a)], "doc_id long, text string")
+        got = sorted(((r.doc_id, r.component_id, r.kept) for r in N.near_dedup(df).collect()), key=str)
+        assert got == sorted([(7, 7, True), (7, 7, True), (9, 7, False), (11, 7, False), (12, 12, True), (None, None, True)], key=str)
+
+
+def test_links_beside_a_leader_are_found(spark):
+    """The third text lacks just the words that the second shares with the first, so only the other two link with it at its side."""
+    rows = []
+    for n in range(30):
+        w = [f"w{n}_{i}" for i in range(100)]
+        second = w[:88] + [f"s{n}_{i}" for i in range(12)]
+        third = w[12:88] + second[88:] + w[:0]
+        rows += [(10 * n, " ".join(w)), (10 * n + 1, " ".join(second)), (10 * n + 2, " ".join(third))]
+    texts = dict(rows)
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    want = brute(texts, 4)
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in N.near_dedup(df, k=4).collect()}
+    assert got == {d: tuple(x) for d, x in want.items()}
