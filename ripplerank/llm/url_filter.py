@@ -20,8 +20,8 @@ RULES = (
     ("block", "example.net", "/de/8"),
     ("block", "org", "/es/"),
 )
-#: A rule list is compiled into one expression; more belong in a table joined by host suffix.
-MOST_RULES = 1000
+#: A rule list is compiled into one expression up to this length; longer ones become a table, joined by host suffix.
+MOST_RULES = 200
 
 
 def url_parts(url: Column) -> tuple[Column, Column]:
@@ -37,8 +37,6 @@ def match_rule(host: Column, path: Column, rules: Sequence[tuple[str, str, str]]
 
     Length counts the host and path characters; of equally long rules an allow wins, then text order.
     """
-    if len(rules) > MOST_RULES:
-        raise ValueError(f"more than {MOST_RULES} rules")
     out = F.lit(None).cast("struct<rule:string,verdict:string>")
     for verdict, h, p in sorted(rules, key=lambda r: (len(r[1] + r[2]), r[0] == "allow", r[1] + r[2])):
         fits = ((host == h) | host.endswith("." + h)) & path.startswith(p)
@@ -46,6 +44,25 @@ def match_rule(host: Column, path: Column, rules: Sequence[tuple[str, str, str]]
     return out
 
 
+def with_rule(df: DataFrame, rules: Sequence[tuple[str, str, str]]) -> DataFrame:
+    """Adds `hit`, the longest fitting rule as struct (rule, verdict), to rows with host and path.
+
+    A long list of rules is a table: every distinct host and path meets the rules of its suffixes, of which the longest
+    fitting one is combined before any shuffle.
+    """
+    if len(rules) <= MOST_RULES:
+        return df.withColumn("hit", match_rule(F.col("host"), F.col("path"), rules))
+    table = df.sparkSession.createDataFrame([(v, h, p) for v, h, p in rules], "verdict string, h string, p string")
+    labels = F.split("host", r"\.")
+    suffixes = F.transform(F.sequence(F.lit(1), F.size(labels)), lambda n: F.array_join(F.slice(labels, F.size(labels) - n + 1, n), "."))
+    places = df.select("host", "path").distinct()
+    met = places.withColumn("h", F.explode(F.array_distinct(suffixes))).join(table, "h").where(F.col("path").startswith(F.col("p")))
+    text = F.concat("h", "p")
+    best = F.max(F.struct(F.length(text).alias("n"), (F.col("verdict") == "allow").alias("allow"), text.alias("rule"), "verdict"))
+    hits = met.groupBy("host", "path").agg(best.alias("best")).select("host", "path", F.struct(F.col("best.rule").alias("rule"), F.col("best.verdict").alias("verdict")).alias("hit"))
+    return df.join(hits, ["host", "path"], "left")
+
+
 @F.udf(StringType())
 def _resolved(page: str, base: str, target: str) -> str:
     """An absolute target as it stands, others against the page's url (and its <base>); empty for what has no host."""
@@ -78,7 +95,10 @@ def page_links(pages: DataFrame) -> DataFrame:
 
 
 def _node(url: Column) -> Column:
-    return F.regexp_replace(url, r"(?s)#.*$", "")
+    """A url without its fragment; scheme and host in lower case (A-Z), an empty path as `/`."""
+    plain = F.regexp_replace(url, r"(?s)#.*$", "")
+    head, rest = (F.regexp_extract(plain, r"(?s)^(.*?://[^/?]*)(.*)$", i) for i in (1, 2))
+    return F.when(head == "", plain).otherwise(F.concat(F.translate(head, UPPER, LOWER), F.when(rest == "", "/").otherwise(rest)))
 
 
 def filter_urls(
@@ -98,16 +118,17 @@ def filter_urls(
         links = links.unionByName(redirects.select(F.col("src").alias("a"), F.col("dst").alias("b")))
     classes = components(links.select(_node(F.col("a")).alias("a"), _node(F.col("b")).alias("b")), "aliases")
     host, path = url_parts(F.col("node"))
-    judged = classes.withColumn("hit", match_rule(host, path, rules)["verdict"])
+    judged = with_rule(classes.select("node", "component", host.alias("host"), path.alias("path")), rules).withColumn("hit", F.col("hit.verdict"))
     spread = judged.groupBy("component").agg(
         (F.max(F.col("hit").eqNullSafe("block")) & ~F.max(F.col("hit").eqNullSafe("allow"))).alias("blocked")
     )
     spread = classes.join(spread, "component").select("node", "component", "blocked")
     host, path = url_parts(F.col("url"))
-    rows = pages.select("page_id", host.alias("host"), path.alias("path"), _node(F.col("url")).alias("node")).withColumn(
-        "hit", match_rule(F.col("host"), F.col("path"), rules)
-    )
-    return rows.join(spread, "node", "left").select(
+    rows = with_rule(pages.select("page_id", host.alias("host"), path.alias("path"), _node(F.col("url")).alias("node")), rules)
+    # Null urls meet nothing and get keys of their own; rows of a common url are spread by adaptive execution, which may split the left side.
+    lone = F.concat(F.lit(" "), F.monotonically_increasing_id().cast("string"))
+    rows = rows.withColumn("key", F.coalesce("node", lone))
+    return rows.join(spread.withColumnRenamed("node", "key"), "key", "left").select(
         "page_id", "host", "path", F.col("hit.rule").alias("rule"),
         F.coalesce("hit.verdict", F.when(F.col("blocked"), "block"), F.lit("allow")).alias("verdict"),
         F.coalesce("component", "node").alias("component"),
