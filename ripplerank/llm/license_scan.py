@@ -25,9 +25,9 @@ NOTICES = (
     ("redistribution and use in source and binary forms with or without modification are permitted", "bsd-grant"),
     ("this program is free software you can redistribute it and or modify it", "gpl-grant"),
 )
-#: Diagonals at most this far apart belong to one fuzzy place.
-GAP = 3
-#: Share of a notice's k-grams that a place must hold.
+#: Words that a fuzzy place may gain or lose in all: its diagonals lie this close together.
+DRIFT = 6
+#: Share of a notice's k-grams that a place must hold, in the notice's order.
 COVERAGE = 0.7
 
 
@@ -48,17 +48,19 @@ def scan_licenses(
     docs: DataFrame,
     phrases: Sequence[tuple[str, str]] = PHRASES,
     notices: Sequence[tuple[str, str]] = NOTICES,
-    gap: int = GAP,
+    drift: int = DRIFT,
     coverage: float = COVERAGE,
 ) -> DataFrame:
     """License evidence of every whole text.
 
-    Returns doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score.
+    Returns doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score, notices.
     Each rolling 2-gram and 3-gram of a text that hashes to a template's k-gram votes, after
     a join on hash and words, for the diagonal text position - template position.
     A diagonal with all votes of a base phrase is a place of that phrase. For notices,
-    neighbouring diagonals are merged and kept where their votes cover enough of
-    the notice; `score` is the best such cover (1 with any base phrase). Templates are a fixed
+    the diagonals from each one on that lie within `drift` are merged into a place. A place is verified by its words: the
+    template positions that its k-grams show in rising order, each counted once, are the share it holds, and it is kept
+    where that reaches `coverage`. `score` is the best share (1 with any base phrase), and `notices` lists the best place of each
+    notice that was kept as label:first word:end. Templates are a fixed
     list, so the joined table is broadcast. Null and empty texts give zero counts, null
     places, empty labels and score 0. Rows stay one to one, repeated rows included.
     """
@@ -86,24 +88,39 @@ def scan_licenses(
         rows.select("doc_id", "row", "n_words", F.inline_outer("votes"))
         .join(F.broadcast(grams), ["k", "gram"], "left")
         .groupBy("row", "doc_id", "n_words", "template", "label", "base", "grams", (F.col("pos") - F.col("at")).alias("diagonal"))
-        .agg(F.count("at").alias("votes"))
+        .agg(F.collect_list("at").alias("ats"))
     )
-    along = Window.partitionBy("row", "template").orderBy("diagonal")
-    fresh = F.when(F.col("diagonal") - F.lag("diagonal").over(along) <= gap, 0).otherwise(1)
-    placed = hits.withColumn("fresh", fresh).withColumn("place", F.when(F.col("base"), F.col("diagonal")).otherwise(F.sum("fresh").over(along)))
-    spots = placed.groupBy("row", "doc_id", "n_words", "template", "label", "base", "grams", "place").agg(F.sum("votes").alias("votes"))
-    share = F.least(F.col("votes") / F.col("grams"), F.lit(1.0))
-    exact = F.col("base") & (F.col("votes") == F.col("grams"))
-    near = ~F.col("base") & (share >= coverage)
+    near_by = Window.partitionBy("row", "template").orderBy("diagonal").rangeBetween(0, drift)
+    seen = F.transform("ats", lambda at: F.struct(at.alias("at"), (-F.col("diagonal") - at).alias("back")))
+    placed = hits.withColumn("seen", F.when(~F.col("base"), seen)).withColumn("place", F.flatten(F.collect_list("seen").over(near_by)))
+    # Longest run of rising template and text positions: least text position at which a run of each length may end.
+    # Of one template position, later text positions come first, so that none follows another.
+    run = F.aggregate(
+        F.array_sort("place"), F.array().cast("array<int>"),
+        lambda ends, x: F.concat(
+            F.filter(ends, lambda e: e < -x["back"]), F.array(-x["back"]), F.slice(F.filter(ends, lambda e: e >= -x["back"]), F.lit(2), F.greatest(F.size(ends), F.lit(1)))
+        ),
+    )
+    share = F.coalesce(F.size(run) / F.col("grams"), F.lit(0.0))
+    texts = F.transform("place", lambda x: -x["back"])
+    spots = placed.select(
+        "row", "doc_id", "n_words", "label", "template", "diagonal", (F.col("base") & (F.size("ats") == F.col("grams"))).alias("exact"),
+        F.when(~F.col("base"), share).alias("share"), F.array_min(texts).alias("begin"), (F.array_max(texts) + 3).alias("end"),
+    )
+    exact, near = F.col("exact"), F.col("share") >= coverage
+    notice = F.when(near, F.struct("label", "template", (-F.col("share")).alias("least"), "begin", "end"))
+    found = F.array_sort(F.collect_set(notice))
+    first = F.filter(found, lambda x, i: (i == 0) | (F.get(found, i - 1)["template"] != x["template"]))
     return (
         spots.groupBy("row", "doc_id", "n_words")
         .agg(
             F.count(F.when(exact, 1)).alias("n_base"),
-            F.min(F.when(exact, F.col("place"))).cast("long").alias("first_word"),
-            F.max(F.when(exact, F.col("place"))).cast("long").alias("last_word"),
+            F.min(F.when(exact, F.col("diagonal"))).cast("long").alias("first_word"),
+            F.max(F.when(exact, F.col("diagonal"))).cast("long").alias("last_word"),
             F.array_join(F.array_sort(F.collect_set(F.when(exact, F.col("label")))), ",").alias("base_labels"),
             F.array_join(F.array_sort(F.collect_set(F.when(exact | near, F.col("label")))), ",").alias("labels"),
-            F.coalesce(F.max(F.when(exact, F.lit(1.0)).when(~F.col("base"), share)), F.lit(0.0)).alias("score"),
+            F.coalesce(F.max(F.when(exact, F.lit(1.0)).otherwise(F.col("share"))), F.lit(0.0)).alias("score"),
+            F.array_join(F.transform(first, lambda x: F.concat_ws(":", x["label"], x["begin"], x["end"])), ",").alias("notices"),
         )
         .drop("row")
     )
