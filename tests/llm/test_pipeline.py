@@ -109,3 +109,32 @@ def test_bit_errors_are_corrected():
             margins[b] *= -1
             best, sure = model.decode(margins[None])
             assert best[0] == i and 0 < sure[0] < 1
+
+
+def test_repeated_and_null_ids_are_decided_row_by_row(spark):
+    rows = [(5, "abc x", "en", "s", 5), (5, "zzz y", "en", "s", 5), (9, "ABC x", "en", "s", 5), (7, "dup row", "en", "s", 7), (7, "dup row", "en", "s", 7), (None, "same text", None, None, 4), (None, "same text", None, None, 4)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    kept = C.drop_exact_copies(spark, docs, SF)
+    assert kept.columns == docs.columns
+    got = sorted(((r.doc_id, r.text) for r in kept.collect()), key=str)
+    assert got == sorted([(5, "zzz y"), (9, "ABC x"), (7, "dup row"), (None, "same text")], key=str)
+    again = sorted(((r.doc_id, r.text) for r in C.drop_near_copies(spark, kept, SF).collect()), key=str)
+    assert again == got
+
+
+def test_extra_columns_with_the_operators_own_names(spark):
+    words = "the cat and that hat sat on this mat with some other things"
+    docs = spark.createDataFrame([(i, f"{words} {i}", "en", "s", 9, 1.5, "x", True, 7, 2, "k", "m") for i in range(1, 7)],
+                                 "doc_id long, text string, lang string, source string, n_chars long, score double, lang_pred string, kept boolean, keep_id long, size long, __id string, __letter string")
+    for name, stage in C.STAGES[:-1]:
+        out = stage(spark, docs, SF)
+        assert out.columns == docs.columns, name
+        assert all(r.score == 1.5 and r.lang_pred == "x" and r.keep_id == 7 and r.size == 2 for r in out.collect()), name
+    assert C.STAGES[-1][1](spark, docs, SF).count() == 6
+
+
+@pytest.mark.parametrize("rows", [[], [(1, None, None, None, None)], [(1, "one word here", None, "s", 3)]])
+def test_stages_take_tiny_tables(spark, rows):
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    for _, stage in C.STAGES:
+        stage(spark, docs, SF).collect()

@@ -167,3 +167,52 @@ def test_relative_targets_are_resolved(spark):
     ]
     got = {r.page_id: r.verdict for r in url_filter.filter_urls(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
     assert got == {1: "block", 2: "block", 3: "block", 4: "block", 5: "allow", 6: "allow", 7: "block"}
+
+
+def test_hosts_compare_in_lower_case_and_empty_paths_as_root(spark):
+    link = '<link rel="canonical" href="{}">'.format
+    pages = spark.createDataFrame([(1, "http://A.test/1", ""), (2, "http://a.TEST/1", link("http://bad.com/en/1")), (3, "http://b.test", link("http://bad.com/en/1")), (4, "http://b.test/#x", "")],
+                                  "page_id long, url string, html string")
+    assert {r.page_id: r.verdict for r in url_filter.filter_urls(pages).collect()} == dict.fromkeys((1, 2, 3, 4), "block")
+
+
+def test_long_rule_lists_decide_like_short_ones(spark, monkeypatch):
+    pages = spark.read.parquet("/root/testdata/sf0.001/pages.parquet")
+    short = sorted(map(tuple, url_filter.filter_urls(pages).select("page_id", "rule", "verdict").collect()))
+    monkeypatch.setattr(url_filter, "MOST_RULES", 0)
+    assert sorted(map(tuple, url_filter.filter_urls(pages).select("page_id", "rule", "verdict").collect())) == short
+    monkeypatch.undo()
+    many = [("block", f"h{i}.test", "/") for i in range(1500)] + list(url_filter.RULES)
+    odd = spark.createDataFrame([(1, "http://x.h7.test/a", None), (2, "http://h1500.test/", None), (3, None, None)], "page_id long, url string, html string")
+    assert {r.page_id: r.verdict for r in url_filter.filter_urls(odd, many).collect()} == {1: "block", 2: "allow", 3: "allow"}
+
+
+def in_order(words, notice, drift=license_scan.DRIFT):
+    """Most 3-grams of the notice that stand in the words in its order, within the drift, each once."""
+    grams = [tuple(notice[i : i + 3]) for i in range(len(notice) - 2)]
+    votes = [(a, p) for p in range(len(words) - 2) for a, g in enumerate(grams) if tuple(words[p : p + 3]) == g]
+    best = 0
+    for d in {p - a for a, p in votes}:
+        within = sorted((a, p) for a, p in votes if d <= p - a <= d + drift)
+        longest = {}
+        for a, p in within:
+            longest[a, p] = 1 + max((n for (x, y), n in longest.items() if x < a and y < p), default=0)
+        best = max(best, *longest.values())
+    return best / len(grams)
+
+
+@pytest.mark.parametrize("text", [
+    "licensed under cc " * 4, "released under the " * 3, "under the mit license released under the", "released under the very mit license", "by nc 4 0 licensed under cc by",
+    " ".join(w + " x" if i % 5 == 4 else w for i, w in enumerate(license_scan.NOTICES[5][0].split())),
+    " ".join(license_scan.NOTICES[6][0].split()[::-1]), "word " * 50 + license_scan.NOTICES[1][0], "cc by nc licensed under cc by by nc 4 0 4 0",
+])
+def test_notices_are_verified_in_their_order(spark, text):
+    row = license_scan.scan_licenses(spark.createDataFrame([(1, text)], "doc_id long, text string")).first()
+    words = license_words(text)
+    shares = {label: in_order(words, n.split()) for n, label in license_scan.NOTICES}
+    base = set(row.base_labels.split(",")) - {""}
+    assert set(row.labels.split(",")) - {""} == base | {x for x, s in shares.items() if s >= license_scan.COVERAGE}
+    assert row.score == pytest.approx(1.0 if base else max(shares.values()))
+    for place in filter(None, row.notices.split(",")):
+        label, begin, end = place.split(":")
+        assert shares[label] >= license_scan.COVERAGE and 0 <= int(begin) < int(end) <= len(words)
