@@ -80,3 +80,16 @@ def rolling(h: np.ndarray, k: int) -> np.ndarray:
     for i in range(k):
         out = out * np.uint64(0xC2B2AE3D27D4EB4F) + h[i : i + n]
     return mix(out)
+
+
+def window_min(x: np.ndarray, w: int) -> np.ndarray:
+    """Least value of each w consecutive ones, in passes whose number does not depend on w."""
+    n = len(x) - w + 1
+    if n <= 0:
+        return x[:0]
+    whole = np.full(-(-len(x) // w) * w, np.iinfo(x.dtype).max, x.dtype)
+    whole[: len(x)] = x
+    blocks = whole.reshape(-1, w)
+    ahead = np.minimum.accumulate(blocks[:, ::-1], 1)[:, ::-1].ravel()
+    behind = np.minimum.accumulate(blocks, 1).ravel()
+    return np.minimum(ahead[:n], behind[w - 1 : w - 1 + n])
