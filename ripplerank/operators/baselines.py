@@ -26,7 +26,10 @@ def power_iteration_online(g: Graph, queries: DataFrame, **how) -> DataFrame:
 
 def online_walking(g: Graph, queries: DataFrame, r: int = 2000, **how) -> DataFrame:
     """The full-path estimator run for the queried vertices only."""
-    return _answer(full_path_ppr(walks.simulate_walks(g, _as_sources(queries), r, **how)))
+    mode = exact.pick_mode(g, how.pop("mode", "auto"))
+    if mode == "broadcast":
+        return _answer(walks.walk_scores(g, _as_sources(queries), r, **how))
+    return _answer(full_path_ppr(walks.simulate_walks(g, _as_sources(queries), r, mode=mode, **how)))
 
 
 def online_end_points(g: Graph, queries: DataFrame, r: int = 2000, **how) -> DataFrame:

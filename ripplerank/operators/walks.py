@@ -98,6 +98,25 @@ def _broadcast(g, s, walks, c, seed, rng, max_steps, first_walk, dangling) -> Da
     return _dealt(s, walks).mapInArrow(run, VISITS)
 
 
+def walk_scores(g: Graph, sources: DataFrame, walks: int, c: float = TELEPORT, seed: int = SEED, rng: str = "xxhash64", first_walk: int = 0, dangling: str = "absorb", max_steps: int | None = None) -> DataFrame:
+    """Full-path scores (source, vertex, score) of a graph that fits a machine: a source's walks lie in one task, which divides by their visits itself."""
+    from .kernel import chunks, walk_counts
+
+    shared = g.shared()
+
+    def run(batches):
+        local = shared.value
+        for batch in batches:
+            ids = batch.column(0).to_numpy()
+            for part in chunks(len(ids), walks):
+                own = ids[part]
+                s, v, visits, _ = walk_counts(local, local.find(own), walks, c, seed, rng, first_walk, dangling, max_steps)
+                moves = np.bincount(s, visits, len(own))
+                yield pa.RecordBatch.from_arrays([pa.array(own[s]), pa.array(local.ids[v]), pa.array(visits / moves[s])], ["source", "vertex", "score"])
+
+    return _dealt(known(g, sources), walks).mapInArrow(run, "source bigint, vertex bigint, score double")
+
+
 def _counted(laps: Iterator[DataFrame]) -> DataFrame:
     """Visits and ends by (source, vertex). Every few steps are counted together, and their walkers deleted."""
     kept: list[DataFrame] = []
