@@ -199,17 +199,18 @@ def _local_answers(g, idx, queries, laps, c, eps, k, normalise, residual) -> Dat
         laps = max(laps, laps_for_residual(residual, c))
 
     def run(batches):
-        from .kernel import close_block, laps_block
+        from .kernel import close_block, laps_block, rows_of
 
         local = shared.value
         n = len(local.ids)
         block = max(1, min(256, BLOCK_CELLS // max(1, n)))
+        views = None if stored is None else (np.diff(stored.value[0]), *(rows_of(stored.value[0], x) for x in stored.value[1:]))
         for batch in batches:
             every = batch.column(0).to_numpy()
             for part in np.split(every, range(block, len(every), block)):
                 settled, row, at, mass = laps_block(local, local.find(part), laps, c, eps, residual)
-                if stored is not None:
-                    close_block(settled, row, at, mass * c, *stored.value)
+                if views is not None:
+                    close_block(settled, row, at, mass * c, *views)
                 for query, x in zip(part, settled):
                     if normalise and (total := x.sum()) > 0:
                         x /= total

@@ -13,6 +13,8 @@ from .graph import LocalGraph
 WALKERS = 200_000
 #: Edges that a block of queries follows together.
 EDGES = 2_000_000
+#: Index entries that are gathered at once.
+GATHERED = 1 << 18
 
 
 def walk(
@@ -114,21 +116,33 @@ def _lap_block(g: LocalGraph, row: np.ndarray, at: np.ndarray, mass: np.ndarray,
     return tuple(np.concatenate(x) for x in zip(*out))
 
 
-def close_block(settled: np.ndarray, row: np.ndarray, at: np.ndarray, mass: np.ndarray, first: np.ndarray, vertex: np.ndarray, weight: np.ndarray) -> None:
-    """Add the stored vectors of frontier positions, times their mass, to the settled rows; row by row, so that sums stay in the cache."""
+def rows_of(first: np.ndarray, values: np.ndarray) -> list[np.ndarray]:
+    """Views of the values of each position."""
+    return [values[a:b] for a, b in zip(first[:-1].tolist(), first[1:].tolist())]
+
+
+def close_block(settled: np.ndarray, row: np.ndarray, at: np.ndarray, mass: np.ndarray, size: np.ndarray, vertex: list[np.ndarray], weight: list[np.ndarray]) -> None:
+    """Add the stored vectors of frontier positions, times their mass, to the settled rows.
+
+    `size` holds the entries of each position's vector, `vertex` and `weight` views of them. A row's vectors are gathered some at a
+    time, so that what is gathered stays in the cache.
+    """
     n = settled.shape[1]
-    begin = np.searchsorted(row, np.arange(len(settled) + 1)) if (np.diff(row) >= 0).all() else None
-    if begin is None:
-        order = np.argsort(row, kind="stable")
-        row, at, mass = row[order], at[order], mass[order]
-        begin = np.searchsorted(row, np.arange(len(settled) + 1))
-    for i, (a, b) in enumerate(zip(begin[:-1].tolist(), begin[1:].tolist())):
-        starts, ends = first[at[a:b]], first[at[a:b] + 1]
-        spans = [slice(x, y) for x, y in zip(starts.tolist(), ends.tolist())]
-        if spans:
-            to, w = np.concatenate([vertex[s] for s in spans]), np.concatenate([weight[s] for s in spans])
-            w *= np.repeat(mass[a:b], ends - starts)
-            settled[i] += np.bincount(to, w, n)
+    order = np.argsort(row, kind="stable")
+    row, at, mass = row[order], at[order], mass[order]
+    entries = size[at]
+    total = np.cumsum(entries)
+    names = at.tolist()
+    ends = np.searchsorted(row, np.arange(len(settled)), "right").tolist()
+    begin = 0
+    for i, end in enumerate(ends):
+        while begin < end:
+            stop = min(end, max(begin + 1, int(np.searchsorted(total, (total[begin - 1] if begin else 0) + GATHERED, "right"))))
+            part = names[begin:stop]
+            w = np.concatenate([weight[u] for u in part])
+            w *= np.repeat(mass[begin:stop], entries[begin:stop])
+            settled[i] += np.bincount(np.concatenate([vertex[u] for u in part]), w, n)
+            begin = stop
 
 
 def power(g: LocalGraph, start: np.ndarray, weight: np.ndarray, c: float, tol: float, most: int, to_source: bool) -> np.ndarray:
