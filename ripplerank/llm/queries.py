@@ -63,8 +63,14 @@ def op10_license_diagonals(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan.scan_licenses(table(spark, sf_dir, "documents"))
 
 
+def spot_similar_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The similarity join of op3's signatures over the whole table: length partitions, rarest-first prefixes, pruned Jaccard."""
+    return spot_signatures.similar_documents(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict:
-    return {k: f for k, f in globals().items() if k.startswith("op") and callable(f) and k[2].isdigit()}
+    found = {k: f for k, f in globals().items() if k.startswith("op") and callable(f) and k[2].isdigit()}
+    return found | {"spot_similar_documents": spot_similar_documents}
 
 
 def oracle_sql() -> dict[str, str]:

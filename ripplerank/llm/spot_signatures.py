@@ -74,6 +74,19 @@ def fingerprint(signatures: str) -> Column:
     return F.array_join(F.transform(signatures, lambda s: F.lpad(F.lower(F.hex(F.pmod(s.cast("long"), F.lit(1 << 32)))), 8, "0")), "")
 
 
+def _prefixes(classes: DataFrame, threshold: float) -> DataFrame:
+    """id, n, part and s for the signatures that a set must share one of with any other at or above the threshold: its rarest.
+
+    Signatures are ordered by the number of sets that hold them, so that a common one is met only by sets with little else.
+    """
+    every = classes.select("id", F.size("sigs").alias("n"), F.explode("sigs").alias("s"))
+    common = every.groupBy("s").agg(F.count("*").alias("held")).where(F.col("held") > 1)
+    # What a single set holds meets nothing; such signatures come first of all and need no join.
+    ranked = every.join(common, "s").groupBy("id", "n").agg(F.array_sort(F.collect_list(F.struct("held", "s"))).alias("shared"))
+    kept = (F.col("n") - F.ceil(F.lit(threshold) * F.col("n")) + 1).cast("int") - (F.col("n") - F.size("shared"))
+    return ranked.where(kept > 0).select("id", "n", length_part(F.col("n"), threshold).alias("part"), F.explode(F.transform(F.slice("shared", F.lit(1), kept), lambda x: x["s"])).alias("s"))
+
+
 def similar_pairs(signed: DataFrame, threshold: float = 0.8) -> DataFrame:
     """Pairs (id_a, id_b, likeness) of different fingerprints at or above `threshold`, plus (rep, member) rows for equal ones.
 
@@ -86,18 +99,19 @@ def similar_pairs(signed: DataFrame, threshold: float = 0.8) -> DataFrame:
     rows = signed.where("doc_id is not null and size(sigs) > 0")
     classes = cut(rows.groupBy("sigs").agg(F.min("doc_id").alias("id")), "spots")
     copies = rows.join(classes, "sigs").where("doc_id <> id").select(F.col("id").alias("id_a"), F.col("doc_id").alias("id_b"), F.lit(1.0).alias("likeness"))
-    n = F.size("sigs")
-    # A fixed pseudo-random order of signatures serves as the common order of prefixes.
-    order = F.array_sort(F.transform("sigs", lambda s: F.xxhash64(s)))
-    kept = (n - F.ceil(F.lit(threshold) * n) + 1).cast("int")
-    prefix = classes.select("id", n.alias("n"), length_part(n, threshold).alias("part"), F.explode(F.slice(order, F.lit(1), kept)).alias("s"))
+    return class_pairs(classes, threshold).unionByName(copies)
+
+
+def class_pairs(classes: DataFrame, threshold: float = 0.8) -> DataFrame:
+    """Pairs (id_a, id_b, likeness), id_a < id_b, of distinct sets (id, sigs) at or above the threshold."""
+    prefix = cut(_prefixes(classes, threshold), "prefixes")
     left = prefix.select(F.col("id").alias("id_a"), F.col("n").alias("n_a"), F.explode(F.array("part", F.col("part") + 1)).alias("part"), "s")
     right = prefix.select(F.col("id").alias("id_b"), F.col("n").alias("n_b"), "part", "s")
     ahead = (F.col("n_a") < F.col("n_b")) | ((F.col("n_a") == F.col("n_b")) & (F.col("id_a") < F.col("id_b")))
     found = left.join(right, ["part", "s"]).where(ahead & (F.col("n_a") >= F.lit(threshold) * F.col("n_b"))).select("id_a", "id_b").distinct()
     whole = found.join(classes.select(F.col("id").alias("id_a"), F.col("sigs").alias("x")), "id_a").join(classes.select(F.col("id").alias("id_b"), F.col("sigs").alias("y")), "id_b")
     linked = whole.withColumn("likeness", likeness("x", "y", threshold)).where(F.col("likeness") >= threshold)
-    return linked.select(F.least("id_a", "id_b").alias("id_a"), F.greatest("id_a", "id_b").alias("id_b"), "likeness").unionByName(copies)
+    return linked.select(F.least("id_a", "id_b").alias("id_a"), F.greatest("id_a", "id_b").alias("id_b"), "likeness")
 
 
 def with_next(docs: DataFrame, bucket_rows: int = BUCKET_ROWS) -> DataFrame:
@@ -167,3 +181,22 @@ def fingerprint_documents(docs: DataFrame, anchors: list[str] | None = None, buc
         likeness("sigs", "edited_sigs").alias("near_edited"), likeness("sigs", "next_sigs").alias("near_next"),
         F.size("sigs").alias("n_signatures"), length_part(F.size("sigs"), 0.8).alias("length_part"),
     )
+
+
+def similar_documents(docs: DataFrame, threshold: float = 0.8, anchors: list[str] | None = None) -> DataFrame:
+    """The similarity join over all documents: doc_id, class_id, n_links, best.
+
+    class_id is the least doc_id of the same fingerprint, n_links the number of other fingerprints whose likeness reaches
+    `threshold`, best the greatest such likeness (0 without links). Texts without words are in no class
+    (null) and link with nothing. Rows without doc_id, and repeated rows, keep their place; an empty table gives an empty result.
+    """
+    anchors = common_words(docs) if anchors is None else anchors
+    signed = cut(with_signatures(docs.select("doc_id", "text"), "text", "sigs", anchors).select("doc_id", "sigs"), "signed")
+    classes = cut(signed.where("doc_id is not null and size(sigs) > 0").groupBy("sigs").agg(F.min("doc_id").alias("id")), "spots")
+    pairs = cut(class_pairs(classes, threshold), "pairs")
+    ends = pairs.select(F.inline(F.array(*[F.struct(F.col(c).alias("id"), "likeness") for c in ("id_a", "id_b")])))
+    links = ends.groupBy("id").agg(F.count("*").alias("n_links"), F.max("likeness").alias("best"))
+    known = signed.join(classes, "sigs", "left").select("doc_id", F.when(F.col("doc_id").isNotNull(), F.col("id")).alias("class_id"))
+    return known.join(links.withColumnRenamed("id", "class_id"), "class_id", "left").select(
+        "doc_id", "class_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("best", F.lit(0.0)).alias("best")
+    )

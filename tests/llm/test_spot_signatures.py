@@ -85,3 +85,30 @@ def test_similar_pairs_as_brute_force(spark):
         if (x := jaccard(set(sets[i]), set(sets[j]))) >= 0.6:
             want[i, j] = x
     assert got == pytest.approx(want) and len(want) > 10
+
+
+def test_similarity_join_over_documents_as_brute_force(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text")
+    odd = spark.createDataFrame([(9000, None), (9001, ""), (9002, "the same words of a text here"), (9003, "the same words of a text here"), (None, "the same words of a text here")], docs.schema)
+    docs = docs.unionByName(odd)
+    anchors = S.common_words(docs)
+    sigs = {}
+    for r in S.with_signatures(docs, "text", "sigs", anchors).collect():
+        if r.doc_id is not None:
+            sigs[r.doc_id] = frozenset(r.sigs)
+    classes = {}
+    for d, s in sorted(sigs.items()):
+        if s:
+            classes.setdefault(s, d)
+    links = {}
+    for a, b in itertools.combinations(classes, 2):
+        share = len(a & b) / len(a | b)
+        if share >= 0.8:
+            links.setdefault(a, []).append(share), links.setdefault(b, []).append(share)
+    rows = S.similar_documents(docs, anchors=anchors).collect()
+    assert len(rows) == len(sigs) + 1 and links
+    for r in rows:
+        s = sigs.get(r.doc_id)
+        want = (classes.get(s), len(links.get(s, [])), max(links.get(s, [0.0]))) if r.doc_id is not None else (None, 0, 0.0)
+        assert (r.class_id, r.n_links) == want[:2] and abs(r.best - want[2]) < 1e-12
+    assert S.similar_documents(docs.limit(0)).count() == 0
