@@ -160,23 +160,69 @@ def _links_within(sets: list[np.ndarray], percent: int) -> np.ndarray:
     return np.array(out, np.int64).reshape(-1, 2)
 
 
-def _confirm(groups: DataFrame, docs: DataFrame, points: DataFrame, k: int, percent: int) -> DataFrame:
+def _blocks(members: Column, shingles: Column) -> Column:
+    return F.ceil(F.greatest(shingles * 8 / F.lit(BLOCK_BYTES), members / F.lit(BLOCK_SETS))).cast("int")
+
+
+def _linked_to_leaders(members: DataFrame, stars: DataFrame, grams: DataFrame, percent: int) -> DataFrame:
+    """Links (a, b) between members (cid) and the leader that each resembles most, decided on full sets: one pair a member."""
+    best = stars.join(members.select(F.col("cid").alias("b")), "b", "left_semi").groupBy("b").agg(F.max(F.struct("agree", (-F.col("a")).alias("a"))).alias("x"))
+    pairs = best.select((-F.col("x.a")).alias("a"), "b")
+    both = pairs.join(grams.select(F.col("cid").alias("a"), F.col("grams").alias("x")), "a").join(grams.select(F.col("cid").alias("b"), F.col("grams").alias("y")), "b")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            hit = []
+            for x, y in zip(batch.column("x"), batch.column("y")):
+                x, y = (np.frombuffer(v.as_buffer(), np.uint64) for v in (x, y))
+                common = len(np.intersect1d(x, y, assume_unique=True))
+                hit.append(100 * common >= percent * (len(x) + len(y) - common))
+            yield batch.select(["a", "b"]).filter(pa.array(hit, pa.bool_()))
+
+    return both.select("a", "b", "x", "y").mapInArrow(run, "a bigint, b bigint")
+
+
+def _open_units(rows: DataFrame, points: DataFrame, linked: DataFrame) -> DataFrame:
+    """Units of work (grp, cid, i, j) of large groups (grp, cid) whose links to leaders are known.
+
+    The largest part of a group that those links hold together is settled: only what is left is compared, with itself and with
+    the settled part. Groups in one part need nothing more, so work grows with the members times the blocks of what is left.
+    """
+    parts = components(linked, "led").select(F.col("node").alias("cid"), "component")
+    placed = cut(rows.join(parts, "cid", "left").join(points.select("cid", "n"), "cid").select("grp", "cid", "n", F.coalesce("component", "cid").alias("part")), "parts")
+    sizes = placed.groupBy("grp", "part").agg(F.count("*").alias("m"), F.sum("n").alias("n"))
+    whole = sizes.groupBy("grp").agg(F.max(F.struct("m", "part", "n")).alias("main"), F.sum("m").alias("m"), F.sum("n").alias("n")).where("m > main.m")
+    load = whole.select("grp", F.col("main.part").alias("main"), _blocks(F.col("main.m"), F.col("main.n")).alias("settled"), _blocks(F.col("m") - F.col("main.m"), F.col("n") - F.col("main.n")).alias("left"))
+    mine = F.col("part") == F.col("main")
+    at = F.xxhash64("cid")
+    own = F.when(mine, F.col("left") + F.pmod(at, F.col("settled"))).otherwise(F.pmod(at, F.col("left"))).cast("int")
+    last = F.when(mine, F.col("left")).otherwise(F.col("left") + F.col("settled")) - 1
+    dealt = placed.join(load, "grp").select("grp", "cid", own.alias("own"), F.explode(F.filter(F.sequence(F.lit(0), last), lambda x: x != own)).alias("other"))
+    return dealt.select("grp", "cid", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
+
+
+def _confirm(groups: DataFrame, docs: DataFrame, points: DataFrame, k: int, percent: int, stars: DataFrame) -> DataFrame:
     """Links (a, b) among the members (grp, cid) of each group, on their full sets.
 
-    Texts are read again only for members. A group beyond a block's bytes is dealt into blocks,
-    and every pair of blocks is one unit of work.
+    Texts are read again only for members. A group within a block is one unit of work. In a larger one, members are first
+    compared with the leader that they resemble most (`stars`: a, b, agree), and then only where that leaves it in parts.
     """
     sized = groups.join(points.select("cid", "n"), "cid")
-    load = sized.groupBy("grp").agg(F.count("*").alias("m"), F.ceil(F.greatest(F.sum("n") * 8 / F.lit(BLOCK_BYTES), F.count("*") / F.lit(BLOCK_SETS))).cast("int").alias("blocks")).where("m > 1")
-    own = F.pmod(F.xxhash64("cid"), F.col("blocks")).cast("int")
-    rows = cut(groups.join(load, "grp").select("grp", "cid", "blocks", own.alias("own")), "units")
-    others = F.filter(F.sequence(F.lit(0), F.col("blocks") - 1), lambda x: x != F.col("own"))
-    units = rows.withColumn("other", F.explode(F.when(F.col("blocks") == 1, F.array(F.lit(0))).otherwise(others))).select(
-        "grp", "cid", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j")
-    )
-    wanted = rows.select("cid").distinct()
-    texts = docs.select(F.col("doc_id").cast("long").alias("cid"), "text").join(wanted, "cid", "left_semi")
-    grams = _sets(texts, k)
+    load = sized.groupBy("grp").agg(F.count("*").alias("m"), _blocks(F.count("*"), F.sum("n")).alias("blocks")).where("m > 1")
+    rows = cut(groups.join(load, "grp").select("grp", "cid", "blocks"), "units", {"large": F.count(F.when(F.col("blocks") > 1, 1))})
+
+    def sets(members: DataFrame) -> DataFrame:
+        wanted = members.select("cid").distinct()
+        return _sets(docs.select(F.col("doc_id").cast("long").alias("cid"), "text").join(wanted, "cid", "left_semi"), k)
+
+    units = rows.where("blocks = 1").select("grp", "cid", F.lit(0).alias("i"), F.lit(0).alias("j"))
+    linked = None
+    if rows.facts.get("large"):
+        large = rows.where("blocks > 1").select("grp", "cid")
+        members = cut(large.select("cid").distinct(), "large")
+        grams = sets(members)  # a leader is in the group of all that it leads closely
+        linked = cut(_linked_to_leaders(members, stars, grams, percent), "linked")
+        units = units.unionByName(_open_units(large, points, linked))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         key, ids, sets = None, [], []
@@ -198,8 +244,9 @@ def _confirm(groups: DataFrame, docs: DataFrame, points: DataFrame, k: int, perc
         if len(ids) > 1:
             yield done()
 
-    dealt = units.join(grams, "cid").repartition("grp", "i", "j").sortWithinPartitions("grp", "i", "j", "cid")
-    return dealt.select("grp", "i", "j", "cid", "grams").mapInArrow(run, "a bigint, b bigint")
+    dealt = units.join(sets(rows), "cid").repartition("grp", "i", "j").sortWithinPartitions("grp", "i", "j", "cid")
+    found = dealt.select("grp", "i", "j", "cid", "grams").mapInArrow(run, "a bigint, b bigint")
+    return found if linked is None else found.unionByName(linked)
 
 
 def _repeats(docs: DataFrame) -> bool:
@@ -243,7 +290,7 @@ def _near_unique(docs: DataFrame, k: int, percent: int, recall: float) -> DataFr
     points = classes.select("cid", "n", "tokens")
     trees = trees_for(percent, recall)
     nodes = points.select("cid", F.posexplode(F.slice("tokens", 1, trees)).alias("tree", "token")).select("cid", F.xxhash64("tree", "token").alias("node"))
-    core = attached = None
+    core = attached = stars = None
     for level in range(DEPTH + 1):
         leads = nodes.groupBy("node").agg(F.count("*").alias("size"), F.min("cid").alias("lead")).where("size > 1")
         met = cut(nodes.join(leads.select("node", "lead"), "node").where("cid <> lead"), "met")
@@ -254,7 +301,8 @@ def _near_unique(docs: DataFrame, k: int, percent: int, recall: float) -> DataFr
         measured = met.join(pairs, ["cid", "lead"])
         near = pairs.where(F.col("agree") >= CORE).select(F.col("lead").alias("a"), F.col("cid").alias("b"))
         off = pairs.where((F.col("agree") >= ATTACHED) & (F.col("agree") < CORE)).select(F.col("lead").alias("a"), F.col("cid").alias("b"))
-        core, attached = (near, off) if core is None else (core.unionByName(near), attached.unionByName(off))
+        led = pairs.where(F.col("agree") >= CORE).select(F.col("lead").alias("a"), F.col("cid").alias("b"), "agree")
+        core, attached, stars = (near, off, led) if core is None else (core.unionByName(near), attached.unionByName(off), stars.unionByName(led))
         rest = cut(measured.where(F.col("agree") < CORE).select("node", "cid"), "rest")
         left = rest.groupBy("node").agg(F.count("*").alias("m")).where("m > 1")
         last = level == DEPTH
@@ -274,7 +322,7 @@ def _near_unique(docs: DataFrame, k: int, percent: int, recall: float) -> DataFr
     grouped = clusters.select(F.col("component").alias("grp"), F.col("node").alias("cid"))
     led = attached.distinct().join(clusters.withColumnRenamed("node", "a"), "a", "left").select(F.coalesce("component", "a").alias("grp"), F.col("b").alias("cid"), "a")
     groups = grouped.unionByName(led.select("grp", "cid")).unionByName(led.select("grp", F.col("a").alias("cid"))).distinct()
-    joined = components(_confirm(groups, docs, points, k, percent), "cc").withColumnRenamed("node", "cid")
+    joined = components(_confirm(groups, docs, points, k, percent, stars), "cc").withColumnRenamed("node", "cid")
     # Copies meet their class by identity; the class carries its component's least document.
     named = classes.join(joined, "cid", "left").select("lo", "hi", "n", F.coalesce("component", "cid").alias("component_id"))
     out = rows.select("doc_id", "n", "lo", "hi").join(named, ["lo", "hi", "n"], "left")

@@ -143,3 +143,20 @@ def test_links_beside_a_leader_are_found(spark):
     want = brute(texts, 4)
     got = {r.doc_id: (r.n_shingles, r.component_id) for r in N.near_dedup(df, k=4).collect()}
     assert got == {d: tuple(x) for d, x in want.items()}
+
+
+@pytest.mark.parametrize("seed, most", [(3, 8), (5, 1), (6, 40)])
+def test_groups_beyond_a_block_lose_no_link(spark, monkeypatch, seed, most):
+    monkeypatch.setattr(N, "BLOCK_SETS", most)
+    docs = planted(seed)
+    df = spark.createDataFrame(list(docs.items()), "doc_id long, text string")
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in N.near_dedup(df, k=4).collect()}
+    assert got == brute(docs, 4)
+
+
+def test_a_group_held_together_by_its_leader_needs_no_more_units(spark):
+    rows = spark.createDataFrame([(1, c) for c in range(1, 40)] + [(2, c) for c in range(100, 140)], "grp long, cid long")
+    points = spark.createDataFrame([(c, 10) for c in [*range(1, 40), *range(100, 140)]], "cid long, n long")
+    linked = spark.createDataFrame([(1, c) for c in range(2, 40)] + [(100, c) for c in range(101, 137)], "a long, b long")
+    units = N._open_units(rows, points, linked).collect()
+    assert {r.grp for r in units} == {2} and len(units) == 40  # three left in one block, beside one settled block
