@@ -73,3 +73,11 @@ def test_profiles_and_streams_take_whole_tables(spark):
     assert a.keys() == b.keys() and all(abs(a[k] - b[k]) < 1e-8 for k in a)
     asked = spark.read.parquet(f"{d}/events.parquet").select((F.col("user_id") + catalogue.K).alias("query")).distinct().join(g.vertices.withColumnRenamed("vertex", "query"), "query", "left_semi")
     assert {r.query for r in catalogue.QUERIES["stream_query_batches"](spark, d).select("query").distinct().collect()} == {r.query for r in asked.collect()}
+
+
+def test_shuffled_profiles_are_not_solved_source_by_source(spark, monkeypatch):
+    g = named(spark, "supp_chain")
+    prefs = g.vertices.orderBy("vertex").limit(6).select((F.col("vertex") % 2).alias("profile"), "vertex", F.lit(1.0).alias("weight"))
+    monkeypatch.setattr(exact, "power_iteration", lambda *a, **how: pytest.fail("one vector a source"))
+    a, b = ({(r.profile, r.vertex): r.score for r in exact.preference_ppr(g, prefs, tol=0.0, max_iter=4, mode=m).collect()} for m in ("shuffle", "broadcast"))
+    assert close(a, b)

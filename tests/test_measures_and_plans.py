@@ -4,7 +4,7 @@ from pyspark.sql import functions as F
 import __spark_entry__ as entry
 from ripplerank.functions import udtf
 from ripplerank.functions.lineage import cut
-from ripplerank.operators import baselines, decompose, evaluate, index, measures, walks
+from ripplerank.operators import baselines, decompose, estimators, evaluate, graph, index, measures, walks
 from ripplerank.operators.graph import build_graph, sample_vertices
 from ripplerank.plans import planner
 from ripplerank.sources import edges as E
@@ -188,3 +188,31 @@ def test_late_requests_are_counted(spark, tmp_path):
     stream = spark.readStream.schema("ts timestamp, request_id long, query long").option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(str(tmp_path / "in"))
     rows, late = buffer.drain_counting(buffer.windowed(stream), "ripple_late", "update")
     assert late == 1 and rows.count() == 2
+
+
+def test_several_approximations_share_the_exact_ranking(spark, monkeypatch):
+    """The exact vectors are ranked once for all walk counts, with the same figures as one by one."""
+    g = named(spark, "supp_chain")
+    q = g.vertices.orderBy("vertex").limit(3).select(F.col("vertex").alias("query"))
+    truth = evaluate.truth(g, q)
+    found = [estimators.full_path_ppr(walks.simulate_walks(g, q.withColumnRenamed("query", "vertex"), r)) for r in (1, 20)]
+    want = {(i, r.k): (round(r.rag, 12), r.queries) for i, x in enumerate(found) for r in measures.mean_rag(measures.rag(truth, x, [1, 10])).collect()}
+    assert {(r.which, r.k): (round(r.rag, 12), r.queries) for r in measures.mean_rags(truth, found, [1, 10]).collect()} == want
+    ranked, top = [], measures.top_k
+    monkeypatch.setattr(measures, "top_k", lambda x, k: ranked.append(x) or top(x, k))
+    evaluate.rag_by_walks(g, q, truth, [1, 5, 20], [1, 10])
+    assert len(ranked) == 1 + 2 * 3
+
+
+def test_reached_part_gives_the_same_vectors(spark):
+    """Copies of a graph with shifted keys: only those of the queries are left, with the same walks and vectors."""
+    one = named(spark, "supp_chain").edges
+    parts = [one.select((F.col("src") + 10_000 * i).alias("src"), (F.col("dst") + 10_000 * i).alias("dst")) for i in range(4)]
+    lone = spark.createDataFrame([(one.first().src, 25_555)], "src long, dst long")  # a source without out-edges, met from another copy
+    g = graph.build_graph(parts[0].unionByName(parts[1]).unionByName(parts[2]).unionByName(parts[3]).unionByName(lone))
+    q = g.vertices.where("vertex > 20000 and vertex < 30000 and vertex <> 25555").orderBy("vertex").limit(3).unionByName(g.vertices.where("vertex = 25555")).select("vertex")
+    part = graph.reached(g, q, least=0)
+    assert part.size == ((g.size[0] - 1) // 4 + 1, (g.size[1] - 1) // 4)
+    walked = [sorted(map(tuple, walks.simulate_walks(x, q, 10).visits.collect())) for x in (g, part)]
+    assert walked[0] == walked[1] and any(r[0] == 25_555 for r in walked[0])
+    assert graph.reached(g, q) is g and graph.reached(g, q, least=0, most=5) is g and graph.reached(part, q, least=0) is part
