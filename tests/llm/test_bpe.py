@@ -82,3 +82,13 @@ def test_operator_against_the_library(spark, library):
 def test_empty_table(spark):
     docs = spark.createDataFrame([], "doc_id long, text string")
     assert bpe.encode_documents(docs, tokenizer_spec()).count() == 0
+
+
+def test_what_a_worker_remembers_stays_small():
+    """Workers are kept between tasks and stages, and what they remember of words with them."""
+    import struct
+    import sys
+
+    word, packed, string = "abcdefgh1234", struct.pack("<5I", *range(5)), "ab cd efg h1 234"
+    entry = sys.getsizeof(word) + sys.getsizeof((packed, string)) + sys.getsizeof(packed) + sys.getsizeof(string) + 100  # and its place in the dict
+    assert bpe.MEMO_WORDS * entry <= 48 << 20
