@@ -106,6 +106,18 @@ def test_lists_are_gathered_part_by_part(spark, monkeypatch):
     assert found == sorted(set(edges))
 
 
+def test_the_driver_receives_bounded_parts_whatever_the_files(spark, monkeypatch):
+    from pyspark.sql.classic.dataframe import DataFrame
+
+    g = G.build_graph(spark.createDataFrame([(i % 10, i) for i in range(200)], "src long, dst long"))
+    whole, g = g._local, G.Graph(g.edges.coalesce(1))
+    parts, taken = [], DataFrame.toLocalIterator
+    monkeypatch.setattr(G, "GATHERED_EDGES", 16)
+    monkeypatch.setattr(DataFrame, "toLocalIterator", lambda self, **how: parts.append(self.rdd.getNumPartitions()) or taken(self, **how))
+    assert (g._local.ids == whole.ids).all() and (g._local.first == whole.first).all() and (g._local.dst == whole.dst).all()
+    assert parts == [-(-200 // 16), -(-200 // 16)]
+
+
 def test_power_in_runs_of_edges(spark, monkeypatch):
     from ripplerank.operators import kernel
 
