@@ -92,3 +92,23 @@ def test_what_a_worker_remembers_stays_small():
     word, packed, string = "abcdefgh1234", struct.pack("<5I", *range(5)), "ab cd efg h1 234"
     entry = sys.getsizeof(word) + sys.getsizeof((packed, string)) + sys.getsizeof(packed) + sys.getsizeof(string) + 100  # and its place in the dict
     assert bpe.MEMO_WORDS * entry <= 48 << 20
+
+
+def test_frequent_words_outlast_rare_ones(monkeypatch, tmp_path):
+    """A worker's memo stays within its bytes and forgets what it has not met for long, not all at once."""
+    spec = tokenizer_spec()
+    vocabulary = bpe.Vocabulary(spec)
+    (tmp_path / "lexicon").write_bytes(bpe.compile_lexicon([(b"of", vocabulary.merge("of"))]))
+    monkeypatch.setattr(bpe.SparkFiles, "get", lambda name: str(tmp_path / name))
+    monkeypatch.setattr(bpe, "MEMO_WORDS", 200)
+    monkeypatch.setattr(bpe, "MEMO_BYTES", 200 * 200, raising=False)
+    merged, merge = [], bpe.Vocabulary.merge
+    monkeypatch.setattr(bpe.Vocabulary, "merge", lambda self, word: merged.append(word) or merge(self, word))
+    encode = bpe._coder(spec, "lexicon")
+    for i in range(0, 3000, 10):
+        text = " ".join(["zweifellos of", *("q" + "".join("abcdefghij"[int(x)] for x in str(j)) for j in range(i, i + 10))])
+        raw, decoded = encode(text)
+        ids = [x for w in vocabulary.words(text) for x in merge(vocabulary, w)]
+        assert raw == b"".join(x.to_bytes(4, "little") for x in ids) and decoded == " ".join(vocabulary.strings[x] for x in ids)
+    assert merged.count("zweifellos") == 1
+    bpe._coders.clear()
