@@ -1,6 +1,7 @@
 import duckdb
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from ripplerank.operators import graph as G
 from ripplerank.sources import edges as E
@@ -125,3 +126,27 @@ def test_power_in_runs_of_edges(spark, monkeypatch):
     whole = kernel.power(local, np.array([0]), np.array([1.0]), 0.15, 0.0, 20, True)
     monkeypatch.setattr(kernel, "EDGES", 3)
     assert np.allclose(kernel.power(local, np.array([0]), np.array([1.0]), 0.15, 0.0, 20, True), whole, rtol=0, atol=1e-15)
+
+
+def test_lists_beyond_the_drivers_share_go_from_executor_to_task(spark, monkeypatch):
+    """Walks, scores, laps and exact vectors of a graph that the driver may not hold: equal to those of one that it may, dangling and far ids included."""
+    from ripplerank.operators import decompose, exact, index, walks
+
+    edges = spark.createDataFrame([(i % 13, i * i % 29 + (1 << 40) * (i % 5 == 0)) for i in range(300)] + [(8, 8)], "src long, dst long")
+    asked = spark.createDataFrame([(v,) for v in (0, 3, 7, 12, 1 << 40, 99)], "vertex long")
+
+    def found(g):
+        q = asked.withColumnRenamed("vertex", "query")
+        idx = index.build_index(g, 5, sources=asked)
+        near = lambda df: rows(df.select(*df.columns[:2], F.round("score", 9)))
+        return [
+            rows(walks.simulate_walks(g, None, 20, mode="broadcast").visits), rows(walks.simulate_walks(g, asked, 20).stats), near(walks.walk_scores(g, asked, 20)), rows(walks.walk_paths(g, asked, 3)),
+            near(exact.power_iteration(g, asked, tol=0.0, max_iter=10)), near(decompose.batch_ppr(g, None, q, 3)), near(decompose.batch_ppr(g, idx, q, 2)),
+        ]
+
+    want = found(G.build_graph(edges))
+    monkeypatch.setattr(G, "HELD_BYTES", 0)
+    monkeypatch.setattr(G, "GATHERED_EDGES", 16)
+    monkeypatch.setattr(G.Graph, "_local", property(lambda self: pytest.fail("the lists on the driver")))
+    monkeypatch.setattr(G.Graph, "_shared", property(lambda self: pytest.fail("the lists on the driver")))
+    assert found(G.build_graph(edges)) == want and all(want)
