@@ -150,3 +150,18 @@ def test_lists_beyond_the_drivers_share_go_from_executor_to_task(spark, monkeypa
     monkeypatch.setattr(G.Graph, "_local", property(lambda self: pytest.fail("the lists on the driver")))
     monkeypatch.setattr(G.Graph, "_shared", property(lambda self: pytest.fail("the lists on the driver")))
     assert found(G.build_graph(edges)) == want and all(want)
+
+
+def test_a_written_table_leaves_no_shuffle_files(spark):
+    import os
+    import re
+
+    from ripplerank.functions.lineage import cut
+
+    blocks = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager()
+    held = lambda: {int(m[1]) for f in blocks.getAllFiles().mkString("\n").split("\n") if (m := re.search(r"shuffle_(\d+)_", os.path.basename(f)))}
+    before = held()
+    rows = spark.range(50_000).groupBy((F.col("id") % 7000).alias("k")).count()
+    assert cut(rows, "swept").count() == 7000
+    # The count of the rows read back has a shuffle of its own; those of the table itself are gone.
+    assert len(held() - before) <= 1
