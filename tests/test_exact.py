@@ -81,3 +81,24 @@ def test_shuffled_profiles_are_not_solved_source_by_source(spark, monkeypatch):
     monkeypatch.setattr(exact, "power_iteration", lambda *a, **how: pytest.fail("one vector a source"))
     a, b = ({(r.profile, r.vertex): r.score for r in exact.preference_ppr(g, prefs, tol=0.0, max_iter=4, mode=m).collect()} for m in ("shuffle", "broadcast"))
     assert close(a, b)
+
+
+def test_streamed_vectors_as_shuffled(spark, monkeypatch):
+    """Where the vectors fit and the edges do not, vectors come and go and no lap joins rows; parts and blocks change nothing."""
+    from ripplerank.operators import graph
+
+    monkeypatch.setattr(graph, "GATHERED_EDGES", 97)
+    g = named(spark, "part_supp_semi")
+    monkeypatch.setattr(graph, "VECTOR_BYTES", 8 * g.size[0] * 2)
+    sources = g.vertices.orderBy(F.desc("out_deg"), "vertex").limit(3).unionByName(g.vertices.where("out_deg = 0").orderBy("vertex").limit(2)).select("vertex")
+    prefs = sources.select((F.col("vertex") % 3).cast("string").alias("profile"), "vertex", (F.col("vertex") % 5 + 1).cast("double").alias("weight"))
+    want = scores(exact.power_iteration(g, sources, tol=0.0, max_iter=4, mode="shuffle"))
+    absorbed = scores(exact.power_iteration(g, sources, tol=0.0, max_iter=4, mode="shuffle", dangling="absorb"))
+    mixed = {(r.profile, r.vertex): r.score for r in exact.preference_ppr(g, prefs, tol=0.0, max_iter=4, mode="shuffle").collect()}
+    assert g.entering.count() > 5
+    monkeypatch.setattr(exact, "pick_mode", lambda g, mode, budget=None: "shuffle")  # as if the graph were large
+    monkeypatch.setattr(exact, "_iterated", lambda *a, **how: pytest.fail("joined row by row"))
+    assert close(scores(exact.power_iteration(g, sources, tol=0.0, max_iter=4)), want)
+    assert close(scores(exact.power_iteration(g, sources, tol=0.0, max_iter=4, dangling="absorb")), absorbed)
+    assert close({(r.profile, r.vertex): r.score for r in exact.preference_ppr(g, prefs, tol=0.0, max_iter=4).collect()}, mixed)
+    assert g.streams(32) == 2 and g.streams(33) == 0

@@ -165,3 +165,11 @@ def test_a_written_table_leaves_no_shuffle_files(spark):
     assert cut(rows, "swept").count() == 7000
     # The count of the rows read back has a shuffle of its own; those of the table itself are gone.
     assert len(held() - before) <= 1
+
+
+def test_edges_of_both_ways_are_made_once(spark):
+    one = spark.createDataFrame([(1, 2), (2, 1), (3, 9)], "src long, dst long")
+    both = E.both_ways(one)
+    assert rows(both) == [(1, 2), (1, 2), (2, 1), (2, 1), (3, 9), (9, 3)]
+    plan = both._jdf.queryExecution().optimizedPlan().toString()
+    assert "Union" not in plan
