@@ -173,3 +173,20 @@ def test_edges_of_both_ways_are_made_once(spark):
     assert rows(both) == [(1, 2), (1, 2), (2, 1), (2, 1), (3, 9), (9, 3)]
     plan = both._jdf.queryExecution().optimizedPlan().toString()
     assert "Union" not in plan
+
+
+def test_targets_of_the_lists_are_looked_up_once(spark, monkeypatch):
+    """Parts of lists hold positions, so that a task which puts them together looks up none; beyond the driver's share they hold ids."""
+    edges = [(i % 7 - (1 << 50), (i * i) % 23 + (1 << 45)) for i in range(60)]
+    g, far = pairs(spark, *edges), pairs(spark, *edges)
+    ids = sorted({v for e in edges for v in e})
+    got = np.concatenate([np.frombuffer(r.dst, "<i4") for r in sorted(g.lists.select("least", "dst").collect())])
+    assert [(s, ids[t]) for s, t in zip((e[0] for e in sorted(set(edges))), got.tolist())] == sorted(set(edges))
+    monkeypatch.setattr(G, "PLACED_BYTES", 0)
+    assert sum(len(r.dst) for r in far.lists.collect()) == 8 * len(set(edges))
+    run = lambda local, batches: (b.from_arrays([b.column(0), G.pa.array(local.dst[local.first[local.find(b.column(0).to_numpy())]].astype(np.int64))], ["vertex", "first"]) for b in batches)
+    asked = g.edges.select("src").distinct()
+    one, two = (rows(x.on_lists(asked, run, "vertex long, first long", 2, held=False)) for x in (g, far))
+    assert one == two == [(s, min(ids.index(t) for u, t in edges if u == s)) for s in sorted({e[0] for e in edges})]
+    far.size = (2_300_000, 31_714_846)
+    assert far.fits()  # words of documents of 0.1 GB
