@@ -102,3 +102,8 @@ def test_streamed_vectors_as_shuffled(spark, monkeypatch):
     assert close(scores(exact.power_iteration(g, sources, tol=0.0, max_iter=4, dangling="absorb")), absorbed)
     assert close({(r.profile, r.vertex): r.score for r in exact.preference_ppr(g, prefs, tol=0.0, max_iter=4).collect()}, mixed)
     assert g.streams(32) == 2 and g.streams(33) == 0
+    few = prefs.select(F.col("profile").cast("int").alias("profile"), "vertex", "weight")
+    monkeypatch.setattr(exact, "ROWS", 50)  # many tasks write, some of them nothing of a vector
+    assert close({(str(r.profile), r.vertex): r.score for r in exact.preference_ppr(g, few, tol=0.0, max_iter=4).collect()}, mixed)
+    none = exact.power_iteration(g, g.vertices.where("out_deg = 0").select("vertex").limit(1), tol=0.0, max_iter=1)
+    assert [r.score for r in none.collect()] == [1.0]
